@@ -168,9 +168,11 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     """
     columns = docs.columns
     groups = materialise(near_duplicates(docs, id_col, text_col), "groups")
-    kept = materialise(groups.where(F.col(id_col) == F.col("component_id")).groupBy(id_col).agg(F.count(F.lit(1)).alias("copies")), "kept")
-    single = docs.join(kept.where("copies = 1").select(id_col), id_col, "left_semi").select(columns)
-    several = docs.join(kept.where("copies > 1").select(id_col), id_col, "left_semi").dropDuplicates([id_col]).select(columns)
+    by_id = groups.where(F.col(id_col).isNotNull()).groupBy(id_col).agg(F.max(F.col(id_col) == F.col("component_id")).alias("kept"), F.count(F.lit(1)).alias("copies"))
+    # the ids that go, or need a second look, are the smaller side of this join
+    other = materialise(by_id.where("not kept or copies > 1"), "other")
+    single = docs.where(F.col(id_col).isNotNull()).join(other.select(id_col), id_col, "left_anti").select(columns)
+    several = docs.join(other.where("kept").select(id_col), id_col, "left_semi").dropDuplicates([id_col]).select(columns)
     out = single.unionByName(several)
     nameless = groups.where("component_id is null").select("fp", "group").distinct()
     if nameless.limit(1).count():
