@@ -292,7 +292,7 @@ class WordTable:
 class Encoder:
     """Encodes texts and remembers the ids of the words that it met, up to a bound."""
 
-    def __init__(self, model: BytePairModel, most_words: int = 700_000):
+    def __init__(self, model: BytePairModel, most_words: int = 350_000):
         self.model = model
         self.table = WordTable(self._learn, most_words)
         self._clear()
@@ -345,7 +345,7 @@ class Encoder:
 class Counter:
     """Counts tokens: pre-tokens that are proved single tokens count one, only the rest is merged."""
 
-    def __init__(self, model: BytePairModel, most_words: int = 600_000):
+    def __init__(self, model: BytePairModel, most_words: int = 350_000):
         self.model = model
         self.table = WordTable(self._learn, most_words)
 

@@ -41,7 +41,7 @@ def once_per_worker(key, make: Callable):
     return _WORKER[key]
 
 
-def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 4_000_000) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 2_000_000) -> Iterator[pa.RecordBatch]:
     """Parts of a batch whose texts hold about ``most_bytes`` at most, one row at least."""
     import pyarrow.compute as pc
 
