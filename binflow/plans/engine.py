@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from binflow.plans.layout import Graph
@@ -73,7 +73,7 @@ def combine(messages: DataFrame, program: VertexProgram) -> DataFrame:
     return one.select("dst_part", F.col("dst").alias("vid"), value.alias("val")).groupBy("dst_part", "vid").agg(agg("val").alias("m")).withColumnRenamed("dst_part", "part")
 
 
-def gather(graph: Graph, state: DataFrame, combined: DataFrame, program: VertexProgram, round_: int, sends=F.col("active")) -> DataFrame:
+def gather(graph: Graph, state: DataFrame, combined: DataFrame, program: VertexProgram, round_: int, sends: Column) -> DataFrame:
     """Next state: re-initialise senders, merge what arrived, finalise continuing vertices.
 
     ``sends`` marks the active vertices that scattered; active ones that did not stay so.
