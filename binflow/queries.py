@@ -7,11 +7,13 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from binflow import workloads
 from binflow.baselines import runs as baselines
+from binflow.operators import graphs as utilities
 from binflow.operators import relational
-from binflow.plans import engine, layout, modes, program
+from binflow.plans import engine, layout, misses, modes, program
 from binflow.plans.layout import Graph
-from binflow.programs import runs
+from binflow.programs import local, runs
 from binflow.sources import generators, views
 from binflow.storage import table
 from binflow.streaming import edges as streams
@@ -208,14 +210,104 @@ def lead_gap_events(spark, sf_dir):
 def stream_window_counts(spark, sf_dir):
     return streams.window_counts(spark, sf_dir)
 
+def sssp_local(spark, sf_dir):
+    return local.sssp_local(graph(spark, sf_dir, "line_chain"), 0)[0]
+
+
+def cc_local_user_order(spark, sf_dir):
+    """Chains of events under ids by user: a partition settles all but the few chains that cross."""
+    n = table(spark, sf_dir, "events").count()
+    return local.components_local(layout.build(views.symmetrise(views.g_event_chain(spark, sf_dir, "user")), n, K))[0]
+
+
+def _cc(**how) -> Query:
+    return lambda spark, sf_dir: runs.connected_components(graph(spark, sf_dir, "geo_both"), **how)
+
+
+def cc_hash_to_min(spark, sf_dir):
+    return utilities.hash_to_min(views.g_event_chain(spark, sf_dir))
+
+
+def model_misses(spark, sf_dir):
+    g = graph(spark, sf_dir, "line_chain")
+    return misses.model_misses(g, cache=4 * g.q)
+
+
+def triangle_count(spark, sf_dir):
+    return utilities.triangles(graph(spark, sf_dir, "line_chain").edges)
+
+
+def k_hop2(spark, sf_dir):
+    return utilities.k_hop(graph(spark, sf_dir, "line_chain").edges, spark.range(1).withColumnRenamed("id", "vid"), 2)
+
+
+def levels_histogram(spark, sf_dir):
+    return utilities.levels_histogram(runs.bfs(graph(spark, sf_dir, "line_chain"), 0))
+
+
+def component_sizes(spark, sf_dir):
+    return utilities.component_sizes(runs.connected_components(graph(spark, sf_dir, "geo_both")))
+
+
+def dangling_vertices(spark, sf_dir):
+    return utilities.dangling(graph(spark, sf_dir, "line_chain").vertices)
+
+
+def degree_quantiles(spark, sf_dir):
+    return utilities.quantiles(graph(spark, sf_dir, "line_chain").vertices.where("deg > 0"), "deg", [0.25, 0.5, 0.75], exact=True)
+
+
+def conductance_even(spark, sf_dir):
+    return utilities.conductance(graph(spark, sf_dir, "line_chain").edges, F.col("vid") % 2 == 0)
+
+
+def pivot_events(spark, sf_dir):
+    counts = table(spark, sf_dir, "events").groupBy("user_id", "event_type").agg(F.count(F.lit(1)).alias("n"))
+    return utilities.pivot_grid(counts, "user_id", "event_type", "n", ["view", "signup", "error", "click", "purchase"]).fillna(0)
+
+
+def idle_customers(spark, sf_dir):
+    orders = table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("c_custkey"))
+    return relational.anti(table(spark, sf_dir, "customer").select("c_custkey"), orders)
+
+
+def workload_ordering(spark, sf_dir):
+    return workloads.ordering(spark, sf_dir, k=K)
+
+
+def workload_mode_mix(spark, sf_dir):
+    return workloads.mode_mix(spark, sf_dir)
+
+
+def workload_degree_sweep(spark, sf_dir):
+    return workloads.degree_sweep(spark, 8, (1, 16), ("pagerank",), 2)
+
+
+def stream_sliding_counts(spark, sf_dir):
+    return streams.sliding_counts(spark, sf_dir)
+
+
+def stream_session_counts(spark, sf_dir):
+    return streams.session_counts(spark, sf_dir)
+
+
+def stream_dedup(spark, sf_dir):
+    return streams.without_repeats(spark, sf_dir)
+
+
+def stream_incremental_cc(spark, sf_dir):
+    return streams.event_components(spark, sf_dir)
+
 
 def queries() -> dict[str, Query]:
     plain = (bins_summary, out_partition_degree, part_stats_r, mode_choice_all_active, mode_choice_bfs_round2, gather_list_round, bin_list_round, sssp_delta, sssp_topological, cc_geo_tree, cc_turns, pagerank_residual, nibble_line_chain, nibble_multi_seed, sweep_cut, heat_kernel, spmv_ones, validate_bfs, random_read_share, rmat_degree_hist, top_rank_parts, page_links, cube_events, rollup_geo, asof_event, interval_events, lead_gap_events, stream_window_counts)
+    plain += (sssp_local, cc_local_user_order, cc_hash_to_min, model_misses, triangle_count, k_hop2, levels_histogram, component_sizes, dangling_vertices, degree_quantiles, conductance_even, pivot_events, idle_customers, workload_ordering, workload_mode_mix, workload_degree_sweep, stream_sliding_counts, stream_session_counts, stream_dedup, stream_incremental_cc)
     out: dict[str, Query] = {f.__name__: f for f in plain}
-    out |= {f"interpartition_edges_{o}_order": _crossing(o) for o in ("time", "user")}
-    out |= {"bfs_line_chain": _bfs(), "bfs_sc": _bfs(mode="sc"), "bfs_pc": _bfs(mode="pc"), "bfs_push": _bfs(paradigm="push"), "bfs_edge_centric": _bfs(paradigm="edge"), "bfs_bottom_up": _bfs_vertex("bottom_up"), "bfs_direction_opt": _bfs_vertex("auto")}
-    out |= {"sssp_line_chain": _sssp(), "sssp_bulk": _sssp(waves=1), "sssp_push": _sssp(paradigm="push", waves=1), "sssp_pull": _sssp(paradigm="pull", waves=1), "sssp_blocked": _sssp(paradigm="blocked", waves=1)}
-    out |= {"pagerank10_line_chain": _ranks("line_chain", "pc"), "pagerank10_sc": _ranks("line_chain", "sc"), "pagerank10_host_links": _ranks("host_links", "pc"), "pagerank_pull": _ranks_by("pull"), "pagerank_edge_centric": _ranks_by("edge"), "pagerank_blocked": _ranks_by("blocked")}
+    out |= {f"interpartition_edges_{o}_order": _crossing(o) for o in ("time", "user", "hash")}
+    out |= {"bfs_line_chain": _bfs(), "bfs_sc": _bfs(mode="sc"), "bfs_pc": _bfs(mode="pc"), "bfs_push": _bfs(paradigm="push"), "bfs_pull": _bfs(paradigm="pull"), "bfs_blocked": _bfs(paradigm="blocked"), "bfs_edge_centric": _bfs(paradigm="edge"), "bfs_bottom_up": _bfs_vertex("bottom_up"), "bfs_direction_opt": _bfs_vertex("auto")}
+    out |= {"sssp_line_chain": _sssp(), "sssp_bulk": _sssp(waves=1), "sssp_edge_centric": _sssp(paradigm="edge", waves=1), "sssp_push": _sssp(paradigm="push", waves=1), "sssp_pull": _sssp(paradigm="pull", waves=1), "sssp_blocked": _sssp(paradigm="blocked", waves=1)}
+    out |= {"pagerank10_line_chain": _ranks("line_chain", "pc"), "pagerank10_sc": _ranks("line_chain", "sc"), "pagerank10_host_links": _ranks("host_links", "pc"), "pagerank_pull": _ranks_by("pull"), "pagerank_push": _ranks_by("push"), "pagerank_edge_centric": _ranks_by("edge"), "pagerank_blocked": _ranks_by("blocked")}
+    out |= {"cc_plain": _cc(waves=1), "cc_sc": _cc(mode="sc", waves=1), "cc_push": _cc(paradigm="push", waves=1), "cc_pull": _cc(paradigm="pull", waves=1)}
     return out | {"round_log_bfs": _log("bfs"), "round_log_sssp_waves": _log("sssp", waves=4)}
 
 
@@ -293,6 +385,30 @@ def oracle_sql() -> dict[str, str]:
         "lead_gap_events": "select event_id, coalesce(lead(event_id) over w, -1) as next_id, cast(row_number() over w as int) as place from events window w as (partition by user_id order by ts, event_id)",
         "stream_window_counts": "select date_trunc('day', ts)::timestamp as day, event_type, count(*) as n from events group by all",
     }
-    out |= dict.fromkeys(("bfs_line_chain", "bfs_sc", "bfs_pc", "bfs_push", "bfs_edge_centric", "bfs_bottom_up", "bfs_direction_opt"), BFS)
-    out |= dict.fromkeys(("sssp_line_chain", "sssp_bulk", "sssp_push", "sssp_pull", "sssp_blocked", "sssp_delta", "sssp_topological"), paths)
-    return out | dict.fromkeys(("pagerank10_line_chain", "pagerank10_sc", "pagerank_pull", "pagerank_edge_centric", "pagerank_blocked"), ranks)
+    out |= {
+        "interpartition_edges_hash_order": f"with n as (select (count(*) + 15) // 16 as q from events), i as (select event_id, user_id, ts, row_number() over (order by (event_id * 2654435761) % 4294967296, event_id) - 1 as vid from events), c as (select vid as a, lead(vid) over (partition by user_id order by ts, event_id) as b from i qualify b is not null) {crossing}",
+        "cc_local_user_order": "with i as (select user_id, row_number() over (order by user_id, ts, event_id) - 1 as vid from events) select vid, min(vid) over (partition by user_id) as label from i",
+        "cc_hash_to_min": "select event_id as vid, min(event_id) over (partition by user_id) as label from events qualify count(*) over (partition by user_id) > 1",
+        "model_misses": f"""with {BINS} t as (select sum(ids) as e, count(*) as m from m), a as (select count(distinct src * 4 // 64) as a from e), b as (select count(distinct dst * 4 // 64) as b from e),
+            h as (select t.e, t.m, a, b, least(1.0, 4.0 * q / (4 * n)) as held from t, a, b, n)
+            select 'sc' as paradigm, round(cast(a + b + (8 * m + 12 * e) / 64 as double), 6) as misses from h union all select 'pc', round(cast(a + b + (8 * m + 4 * (m + e)) / 64 as double), 6) from h
+            union all select 'push', round(cast(b + greatest(e - b, 0) * (1 - held) + e * 4 / 64 as double), 6) from h union all select 'pull', round(cast(a + greatest(e - a, 0) * (1 - held) + e * 4 / 64 as double), 6) from h""",
+        "triangle_count": f"with {LINE} p as (select distinct least(src, dst) as a, greatest(src, dst) as b from e) select count(*) as triangles from p x join p y on x.b = y.a join p z on z.a = x.a and z.b = y.b",
+        "k_hop2": f"with recursive {LEVELS} z as (select 1) select vid, level as hops from lev where level <= 2",
+        "levels_histogram": f"with recursive {LEVELS} z as (select 1) select level, count(*) as n from lev group by level",
+        "component_sizes": f"select label, count(*) as n from ({out['cc_geo_tree']}) group by label",
+        "dangling_vertices": f"with {LINE} z as (select 1) select vid from v where vid not in (select src from e)",
+        "degree_quantiles": f"with {LINE} d as (select count(*) as deg from e group by src) select unnest([0.25, 0.5, 0.75])::double as share, unnest(quantile_cont(deg, [0.25, 0.5, 0.75]))::double as value from d",
+        "conductance_even": f"with {LINE} s as (select cast(count(*) filter (where src % 2 = 0 and dst % 2 = 1) as bigint) as cut, count(*) filter (where src % 2 = 0) as volume, count(*) as total from e) select cut, volume, round(cut / least(volume, total - volume), 9) as conductance from s",
+        "pivot_events": "select user_id, " + ", ".join(f"count(*) filter (where event_type = '{t}') as \"{t}\"" for t in ("view", "signup", "error", "click", "purchase")) + " from events group by user_id",
+        "idle_customers": "select c_custkey from customer where c_custkey not in (select o_custkey from orders)",
+        "stream_sliding_counts": "select (time_bucket(interval 6 hour, ts) - to_hours(6 * i))::timestamp as start, event_type, count(*) as n from events, range(4) r(i) group by all",
+        "stream_session_counts": """with g as (select user_id, ts, coalesce(ts - lag(ts) over (partition by user_id order by ts) >= interval 2 hour, true)::int as new from events),
+            s as (select user_id, ts, sum(new) over (partition by user_id order by ts) as s from g) select user_id, min(ts)::timestamp as start, count(*) as n from s group by user_id, s""",
+        "stream_dedup": "select event_id, event_type from events",
+    }
+    out["stream_incremental_cc"] = out["cc_hash_to_min"]
+    out |= dict.fromkeys(("cc_plain", "cc_sc", "cc_push", "cc_pull"), out["cc_geo_tree"])
+    out |= dict.fromkeys(("bfs_pull", "bfs_blocked", "bfs_line_chain", "bfs_sc", "bfs_pc", "bfs_push", "bfs_edge_centric", "bfs_bottom_up", "bfs_direction_opt"), BFS)
+    out |= dict.fromkeys(("sssp_local", "sssp_edge_centric", "sssp_line_chain", "sssp_bulk", "sssp_push", "sssp_pull", "sssp_blocked", "sssp_delta", "sssp_topological"), paths)
+    return out | dict.fromkeys(("pagerank10_line_chain", "pagerank10_sc", "pagerank_push", "pagerank_pull", "pagerank_edge_centric", "pagerank_blocked"), ranks)

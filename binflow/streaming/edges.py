@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from binflow.storage import new_folder, table
+from binflow.operators.graphs import hash_to_min
+from binflow.sources import views
+from binflow.storage import materialise, new_folder, table
 
 
 def window_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", width: str = "1 day") -> DataFrame:
@@ -22,3 +24,87 @@ def window_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", width:
     done = counts.writeStream.outputMode("complete").option("checkpointLocation", f"{out}/log").trigger(availableNow=True).foreachBatch(keep).start()
     done.awaitTermination()
     return spark.read.parquet(f"{out}/data")
+
+
+def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events as a stream of all available files, with ``ts`` in UTC whatever the session's zone."""
+    schema = table(spark, sf_dir, "events").schema
+    rows = spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    return rows.withColumn("ts", F.timestamp_micros(F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01', ts)")))
+
+
+def _plain(col: str):
+    return F.expr(f"timestampadd(MICROSECOND, unix_micros({col}), timestamp_ntz'1970-01-01')")
+
+
+def _drain(spark: SparkSession, rows: DataFrame, mode: str) -> DataFrame:
+    """Run over what is there and read the result; one file set a batch, written over if a batch is run again."""
+    out = new_folder(spark, "stream")
+    done = rows.writeStream.outputMode(mode).option("checkpointLocation", f"{out}/log").trigger(availableNow=True)
+
+    def keep(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/data" if mode == "complete" else f"{out}/data/batch={batch_id}")
+
+    done.foreachBatch(keep).start().awaitTermination()
+    return spark.read.schema(rows.schema).parquet(f"{out}/data").select(rows.columns)
+
+
+def sliding_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", width: str = "1 day", step: str = "6 hours") -> DataFrame:
+    """(start, event_type, n) of overlapping windows."""
+    counts = _events(spark, sf_dir).withWatermark("ts", late).groupBy(F.window("ts", width, step), "event_type").agg(F.count(F.lit(1)).alias("n"))
+    return _drain(spark, counts, "complete").select(_plain("window.start").alias("start"), "event_type", "n")
+
+
+def session_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", gap: str = "2 hours") -> DataFrame:
+    """(user_id, start, n): runs of a user's events with less than ``gap`` between neighbours."""
+    counts = _events(spark, sf_dir).withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.count(F.lit(1)).alias("n"))
+    return _drain(spark, counts, "complete").select("user_id", _plain("s.start").alias("start"), "n")
+
+
+def without_repeats(spark: SparkSession, sf_dir: str, late: str = "1 hour") -> DataFrame:
+    """(event_id, event_type): each event once though the stream holds it twice within the watermark."""
+    rows = _events(spark, sf_dir).withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).withWatermark("ts", late)
+    return _drain(spark, rows.dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "event_type"), "append")
+
+
+def add_edges(labels: DataFrame | None, edges: DataFrame) -> DataFrame:
+    """Labels (vid, label) after ``edges(src, dst)`` arrived: components of the labels' own graph, then one look-up.
+
+    Only the new edges, with labels for ends, are solved; untouched vertices are joined once.
+    """
+    ends = edges.select(F.explode(F.array("src", "dst")).alias("vid")).distinct()
+    if labels is None:
+        known = ends.select("vid", F.col("vid").alias("label"))
+    else:
+        known = labels.union(ends.join(labels, "vid", "left_anti").select("vid", F.col("vid").alias("label")))
+    a, b = (known.select(F.col("vid").alias(c), F.col("label").alias(f"{c}_label")) for c in ("src", "dst"))
+    short = edges.join(a, "src").join(b, "dst").select(F.col("src_label").alias("src"), F.col("dst_label").alias("dst")).distinct()
+    merged = hash_to_min(short).select(F.col("vid").alias("label"), F.col("label").alias("to"))
+    return known.join(merged, "label", "left").select("vid", F.coalesce("to", "label").alias("label"))
+
+
+def incremental_components(spark: SparkSession, edges: DataFrame) -> DataFrame:
+    """(vid, label) kept over the batches of a stream of ``edges(src, dst)``.
+
+    Batch b reads the labels of batch b - 1 and writes those of b, so running one again gives
+    the same table.
+    """
+    out, last = new_folder(spark, "labels"), {}
+
+    def add(batch: DataFrame, batch_id: int) -> None:
+        before = spark.read.parquet(f"{out}/{batch_id - 1}") if batch_id else None
+        add_edges(before, materialise(batch.select("src", "dst"), "arrived")).write.mode("overwrite").parquet(f"{out}/{batch_id}")
+        last["batch"] = batch_id
+
+    edges.writeStream.option("checkpointLocation", f"{out}/log").trigger(availableNow=True).foreachBatch(add).start().awaitTermination()
+    if not last:
+        return spark.createDataFrame([], "vid bigint, label bigint")
+    return spark.read.parquet(f"{out}/{last['batch']}")
+
+
+def event_components(spark: SparkSession, sf_dir: str, files: int = 3) -> DataFrame:
+    """Components of the chains of events that arrive as a stream of ``files`` files."""
+    chain = views.g_event_chain(spark, sf_dir).select("src", "dst")
+    path = new_folder(spark, "arrivals")
+    chain.repartition(files, "src").write.parquet(path)
+    return incremental_components(spark, spark.readStream.schema(chain.schema).option("maxFilesPerTrigger", 1).parquet(path))

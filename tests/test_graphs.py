@@ -1,11 +1,15 @@
+from itertools import combinations
+
 import pytest
 from pyspark.sql import functions as F
 
 from binflow.baselines import runs as baselines
+from binflow.operators import graphs as utilities
 from binflow.operators import relational
-from binflow.plans import engine, layout, modes, program
-from binflow.programs import runs
+from binflow.plans import engine, layout, misses, modes, program
+from binflow.programs import local, runs
 from binflow.sources import generators, views
+from binflow.streaming import edges as streams
 
 TOY = [(0, 1), (0, 2), (0, 3), (0, 6), (1, 2), (2, 4), (2, 5), (3, 0), (4, 6), (4, 7), (5, 1), (6, 7)]
 
@@ -88,3 +92,42 @@ def test_asof(spark):
     left = spark.createDataFrame([(1, 5), (1, 1), (2, 9)], "k int, t int")
     right = spark.createDataFrame([(1, 2, "a"), (1, 4, "b")], "k int, t int, v string")
     assert rows(relational.asof_join(left, right, "k", "t", ["v"]).select("k", "t", F.coalesce("last_v", F.lit("-")))) == [(1, 1, "-"), (1, 5, "b"), (2, 9, "-")]
+
+
+def test_local_settling_agrees(spark):
+    """Partitions settle at once, or a step at a time; the distances are those of the plain rounds, in fewer rounds."""
+    g = layout.build(views.edge_weights(generators.grid_graph(spark, 4, 5), 7), 20, 2)
+    want = rows(runs.sssp(g, 0, waves=1))
+    whole, few = local.sssp_local(g, 0)
+    stepped, many = local.sssp_local(g, 0, most=1)
+    assert rows(whole) == want and rows(stepped) == want and few <= many
+    path = layout.build(views.symmetrise(generators.path_graph(spark, 40)), 40, 4)
+    labels, n = local.components_local(path)
+    assert {r.label for r in labels.collect()} == {0} and n <= 5
+    assert rows(local.sssp_local(path, 99)[0]) == []
+
+
+def test_modelled_misses_of_toy(toy):
+    """All values fit one line: first touches only, plus the streams (12 edges, 9 messages)."""
+    got = {r.paradigm: r.misses for r in misses.model_misses(toy).collect()}
+    assert got == {"sc": 2 + (8 * 9 + 12 * 12) / 64, "pc": 2 + (8 * 9 + 4 * 21) / 64, "push": 1 + 48 / 64, "pull": 1 + 48 / 64}
+
+
+def test_graph_utilities(spark, toy):
+    assert rows(utilities.reverse(utilities.reverse(toy.edges))) == rows(toy.edges)
+    linked = {tuple(sorted(e)) for e in TOY}
+    assert utilities.triangles(toy.edges).first().triangles == sum(linked.issuperset(combinations(t, 2)) for t in combinations(range(8), 3)) == 3
+    assert rows(utilities.induced_subgraph(toy.edges, spark.createDataFrame([(0,), (1,), (2,)], "vid bigint")).select("src", "dst")) == [(0, 1), (0, 2), (1, 2)]
+    cut = utilities.conductance(toy.edges, F.col("vid") < 4).first()
+    assert (cut.cut, cut.volume) == (3, 8)
+    assert rows(utilities.dangling(toy.vertices)) == [(7,)]
+    ring = generators.cycle_graph(spark, 30).union(spark.createDataFrame([(100, 101, 1), (7, 7, 1), (200, 200, 1)], "src bigint, dst bigint, weight bigint"))
+    found = {r.vid: r.label for r in utilities.hash_to_min(ring).collect()}
+    assert found == {i: 0 for i in range(30)} | {100: 100, 101: 100, 200: 200}
+    assert utilities.hash_to_min(ring.limit(0)).count() == 0
+
+
+def test_incremental_labels(spark):
+    first = streams.add_edges(None, spark.createDataFrame([(1, 2), (3, 4)], "src bigint, dst bigint"))
+    second = streams.add_edges(first, spark.createDataFrame([(4, 2), (9, 8)], "src bigint, dst bigint"))
+    assert rows(second) == [(1, 1), (2, 1), (3, 1), (4, 1), (8, 8), (9, 8)]
