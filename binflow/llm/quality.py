@@ -24,6 +24,8 @@ PASSAGE, SAMPLE = 1000, 6000
 HIDDEN, GATE, EPOCHS, BAGS, RATE, DECAY = 32, 16, 15, 128, 3e-3, 1e-5
 CLASSES = 16
 EXTRA = 4
+#: steps of 1 that scores are computed on
+GRID = 1 << 16
 FEATURES = CLASSES * CLASSES + EXTRA
 
 
@@ -57,14 +59,16 @@ def encode_passages(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
     total = len(flat) - 8
     passage = np.repeat(np.arange(len(doc), dtype=np.int64), length)
     kind = _KIND[flat[:total]].astype(np.int64)
-    pair = passage[:-1] * CLASSES * CLASSES + kind[:-1] * CLASSES + kind[1:] if total else np.empty(0, np.int64)
+    final = np.zeros(total, bool)  # the last byte of a text: neither pairs nor words go on into the next one
+    final[(begin + size - 1)[size > 0]] = True
+    pair = (passage[:-1] * CLASSES * CLASSES + kind[:-1] * CLASSES + kind[1:])[~final[:-1]] if total else np.empty(0, np.int64)
     out = np.zeros((len(doc), FEATURES), np.float32)
     counts = np.bincount(pair, minlength=len(doc) * CLASSES * CLASSES).reshape(len(doc), -1)
     out[:, : CLASSES * CLASSES] = np.sqrt(counts / np.maximum(1, length)[:, None])
 
     blank = (kind == 4) | (kind == 5)
-    first = np.flatnonzero(~blank & np.r_[True, blank[:-1]]) if total else np.empty(0, np.int64)
-    last = np.flatnonzero(~blank & np.r_[blank[1:], True]) if total else np.empty(0, np.int64)
+    first = np.flatnonzero(~blank & np.r_[True, (blank | final)[:-1]]) if total else np.empty(0, np.int64)
+    last = np.flatnonzero(~blank & (np.r_[blank[1:], True] | final)) if total else np.empty(0, np.int64)
     width = last - first + 1
     window = np.lib.stride_tricks.sliding_window_view(flat, 8)
     mask = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
@@ -95,32 +99,42 @@ class Model:
     def score(self, x: np.ndarray, n: np.ndarray) -> np.ndarray:
         if self.weights is None:
             return np.full(len(n), self.prior)
-        y, *_ = _forward(self.weights, (x - self.mean) / self.scale, n)
-        return y.astype(np.float64)
+        return _forward(self.weights, (x - self.mean) / self.scale, n, _exact_product)[0]
 
 
-def _forward(w: dict[str, np.ndarray], x: np.ndarray, n: np.ndarray):
+def _on_grid(x: np.ndarray) -> np.ndarray:
+    return np.rint(x * GRID) / GRID
+
+
+def _exact_product(x: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Matrix product without rounding: sums of multiples of 1 / GRID^2 below 2^21 fit a double, so a row's result does not depend on the rows beside it."""
+    return _on_grid(np.clip(x, -1024, 1024)) @ w
+
+
+def _forward(w: dict[str, np.ndarray], x: np.ndarray, n: np.ndarray, product=np.matmul):
     first = np.cumsum(n) - n
-    h = np.maximum(0, x @ w["encode"] + w["encode0"])
-    t, s = np.tanh(h @ w["content"]), 1 / (1 + np.exp(-np.clip(h @ w["gate"], -30, 30)))
-    e = (t * s) @ w["attend"]
+    h = np.maximum(0, product(x, w["encode"]) + w["encode0"])
+    t, s = np.tanh(product(h, w["content"])), 1 / (1 + np.exp(-np.clip(product(h, w["gate"]), -30, 30)))
+    e = product(t * s, w["attend"])
     e = np.exp(e - np.repeat(np.maximum.reduceat(e, first), n))
     a = e / np.repeat(np.add.reduceat(e, first), n)
     z = np.add.reduceat(a[:, None] * h, first, axis=0)
-    y = 1 / (1 + np.exp(-np.clip(z @ w["score"] + w["score0"], -30, 30)))
+    y = 1 / (1 + np.exp(-np.clip(product(z, w["score"]) + w["score0"], -30, 30)))
     return y, h, t, s, a, z, first
 
 
 def fit(x: np.ndarray, n: np.ndarray, labels: np.ndarray, seed: int = 42) -> Model:
-    """Train on bags of passages. Adam on the log loss; the result depends on the inputs' order and the seed only."""
+    """Train on bags of passages. Adam on the log loss, in doubles; the result depends on the inputs' order and the seed only.
+
+    The weights are rounded to the grid on which scores are computed without rounding, which
+    also hides the last bits that a BLAS with another number of threads may change.
+    """
     prior = (labels.sum() + 1) / (len(labels) + 2)
     if len(np.unique(labels)) < 2:
         return Model(float(prior))
-    mean, scale = x.mean(axis=0), x.std(axis=0) + 0.02
-    x = ((x - mean) / scale).astype(np.float32)
+    mean, scale = x.mean(axis=0, dtype=np.float64), x.std(axis=0, dtype=np.float64) + 0.02
     rng = np.random.default_rng(seed)
     w = {"encode": rng.normal(size=(x.shape[1], HIDDEN)) * x.shape[1] ** -0.5, "encode0": np.zeros(HIDDEN), "content": rng.normal(size=(HIDDEN, GATE)) * HIDDEN**-0.5, "gate": rng.normal(size=(HIDDEN, GATE)) * HIDDEN**-0.5, "attend": rng.normal(size=GATE) * GATE**-0.5, "score": rng.normal(size=HIDDEN) * HIDDEN**-0.5, "score0": np.array(np.log(prior / (1 - prior)))}
-    w = {k: v.astype(np.float32) for k, v in w.items()}
     m, v = ({k: np.zeros_like(p) for k, p in w.items()} for _ in range(2))
     first, step = np.cumsum(n) - n, 0
     for _ in range(EPOCHS):
@@ -129,9 +143,9 @@ def fit(x: np.ndarray, n: np.ndarray, labels: np.ndarray, seed: int = 42) -> Mod
             bags = order[at : at + BAGS]
             size = n[bags]
             rows = np.repeat(first[bags] - np.cumsum(size) + size, size) + np.arange(int(size.sum()))
-            xb = x[rows]
+            xb = (x[rows] - mean) / scale
             y, h, t, s, a, z, start = _forward(w, xb, size)
-            dy = ((y - labels[bags]) / len(bags)).astype(np.float32)
+            dy = (y - labels[bags]) / len(bags)
             dz = dy[:, None] * w["score"]
             rep = np.repeat(dz, size, axis=0)
             da = (h * rep).sum(axis=1)
@@ -144,8 +158,8 @@ def fit(x: np.ndarray, n: np.ndarray, labels: np.ndarray, seed: int = 42) -> Mod
             for k, g in grads.items():
                 m[k] = 0.9 * m[k] + 0.1 * g
                 v[k] = 0.999 * v[k] + 0.001 * g * g
-                w[k] = (w[k] - RATE * (m[k] / (1 - 0.9**step) / (np.sqrt(v[k] / (1 - 0.999**step)) + 1e-8) + DECAY * w[k])).astype(np.float32)
-    return Model(float(prior), mean, scale, w)
+                w[k] = w[k] - RATE * (m[k] / (1 - 0.9**step) / (np.sqrt(v[k] / (1 - 0.999**step)) + 1e-8) + DECAY * w[k])
+    return Model(float(prior), mean, scale, {k: _on_grid(np.clip(p, -8, 8)) for k, p in w.items()})
 
 
 def held_out(id_col: str):
@@ -174,7 +188,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
                 yield pa.RecordBatch.from_arrays([batch.column("id"), batch.column("y"), pa.array(parts, pa.binary())], ["id", "y", "x"])
 
     kind = dict(docs.dtypes)[id_col]
-    rows = texts.select("id", "text", "y").mapInArrow(run, f"id {kind}, y int, x binary").toArrow().sort_by("id").to_pydict()
+    rows = texts.select("id", "text", "y").mapInArrow(run, f"id {kind}, y int, x binary").toArrow().sort_by([("id", "ascending"), ("x", "ascending")]).to_pydict()
     if not rows["y"]:
         return Model(0.5)
     bags = [np.frombuffer(b, np.float32).reshape(-1, FEATURES) for b in rows["x"]]

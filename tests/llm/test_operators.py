@@ -141,3 +141,12 @@ def test_quality_on_held_out_rows(spark):
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
     rows = quality.score(docs, quality.train(docs, labels)).where("held_out").join(labels, "doc_id").collect()
     assert sum(r.predicted == r.quality for r in rows) >= 0.9 * len(rows)
+
+
+def test_scores_do_not_depend_on_the_batch():
+    draw = np.random.default_rng(6)
+    texts = ["".join(chr(c) for c in draw.integers(32, 120, int(draw.integers(0, 4000)))) for _ in range(150)]
+    model = quality.fit(*quality.encode_passages(texts), draw.integers(0, 2, 150).astype(np.float32))
+    together = model.score(*quality.encode_passages(texts))
+    assert [float(model.score(*quality.encode_passages([t]))[0]) for t in texts] == together.tolist()
+    assert np.concatenate([model.score(*quality.encode_passages(texts[i : i + 7])) for i in range(0, 150, 7)]).tolist() == together.tolist()
