@@ -130,6 +130,19 @@ def test_repeated_passage_is_cut_once(spark):
     assert cut[0] == texts[0] and cut[4] == texts[4] and shared not in cut[1] and len(cut[1].split()) == 150
 
 
+def test_each_copy_of_a_tied_minimum_is_a_centre(spark):
+    values = np.array([9, 2, 8, 7, 2, 6, 2, 2, 2, 5], np.uint64)
+    assert sorted(substring.tied_windows(values, 1), key=lambda w: w[1]) == [(0, 0, 0), (0, 1, 9), (2, 2, 2), (2, 3, 3), (2, 4, 9), (5, 5, 5), (5, 6, 9), (9, 9, 9)]
+    draw = random.Random(8)
+    words = lambda n: " ".join("".join(draw.choices("abcdefgh", k=6)) for _ in range(n))
+    texts = []
+    for _ in range(20):
+        shared = words(50)
+        texts += [f"{words(60)} {shared} {words(60)}", f"{words(60)} {shared} {words(3)} {shared} {words(60)}"]
+    found = substring.repeated_passages(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")).collect()
+    assert sorted((r.doc_id, r.start_word, r.end_word) for r in found) == sorted((2 * i + 1, a, a + 50) for i in range(20) for a in (60, 113))
+
+
 def test_licences(spark):
     df = spark.createDataFrame([(1, "x.\nLicensed under the MIT License. All rights reserved.\nCopyright (c) 2020 A"), (2, "A licence of nothing")], "doc_id bigint, text string")
     got = {r.doc_id: (r.sentence_ids, r.licences, r.n_unmatched) for r in licenses.recognise(df).collect()}
