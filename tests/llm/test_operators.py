@@ -143,6 +143,22 @@ def test_each_copy_of_a_tied_minimum_is_a_centre(spark):
     assert sorted((r.doc_id, r.start_word, r.end_word) for r in found) == sorted((2 * i + 1, a, a + 50) for i in range(20) for a in (60, 113))
 
 
+def test_near_repeats_with_an_added_or_missing_word(spark):
+    draw = random.Random(9)
+    words = lambda n: ["".join(draw.choices("abcdefgh", k=6)) for _ in range(n)]
+    texts, want = [], []
+    for i in range(20):
+        n = draw.choice([56, 70, 80, 95])
+        shared = words(n)
+        other = {0: shared[: n // 2] + words(1) + shared[n // 2 :], 1: shared[: n // 2] + shared[n // 2 + 1 :], 2: shared[: n // 2] + words(1) + shared[n // 2 + 1 :], 3: shared}[i % 4]
+        texts += [words(60) + shared + words(60), words(70) + other + words(60)]
+        want.append((2 * i + 1, 70, 70 + len(other)))
+    found = substring.repeated_passages(spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id bigint, text string")).collect()
+    assert sorted((r.doc_id, r.start_word, r.end_word) for r in found) == want
+    far = np.array(shared := [hash(w) & 0xFFFFFFFF for w in words(80)], np.uint32)
+    assert substring.matching_spans(far, np.array(shared[:20] + shared[60:] + shared[20:60], np.uint32)) == []
+
+
 def test_licences(spark):
     df = spark.createDataFrame([(1, "x.\nLicensed under the MIT License. All rights reserved.\nCopyright (c) 2020 A"), (2, "A licence of nothing")], "doc_id bigint, text string")
     got = {r.doc_id: (r.sentence_ids, r.licences, r.n_unmatched) for r in licenses.recognise(df).collect()}
