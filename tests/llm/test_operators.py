@@ -159,6 +159,20 @@ def test_near_repeats_with_an_added_or_missing_word(spark):
     assert substring.matching_spans(far, np.array(shared[:20] + shared[60:] + shared[20:60], np.uint32)) == []
 
 
+@pytest.mark.parametrize("tasks", [1, 8])
+def test_later_documents_share_more_than_the_first_holds(spark, tasks):
+    """Document 3 i holds 40 words of a passage only, the next two all 55 of it; each passage within its own task, or in many."""
+    draw = random.Random(11)
+    words = lambda n: ["".join(draw.choices("abcdefgh", k=6)) for _ in range(n)]
+    texts = []
+    for _ in range(40):
+        shared = words(55)
+        texts += [words(60) + shared[:40] + words(60), words(60) + shared + words(60), words(60) + shared + words(60)]
+    df = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id bigint, text string").repartition(tasks)
+    found = substring.repeated_passages(df).collect()
+    assert sorted((r.doc_id, r.start_word, r.end_word, r.source_id) for r in found) == [(3 * i + 2, 60, 115, 3 * i + 1) for i in range(40)]
+
+
 def test_licences(spark):
     df = spark.createDataFrame([(1, "x.\nLicensed under the MIT License. All rights reserved.\nCopyright (c) 2020 A"), (2, "A licence of nothing")], "doc_id bigint, text string")
     got = {r.doc_id: (r.sentence_ids, r.licences, r.n_unmatched) for r in licenses.recognise(df).collect()}
