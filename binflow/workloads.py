@@ -46,7 +46,7 @@ def one(graph: Graph, app: str, system: str = "bins", mode: str = "auto", waves:
 
 def _special(graph: Graph, app: str, rounds: int) -> dict:
     """Baselines that are not a paradigm, as system -> rounds of a run."""
-    return {"bfs": {"direction_switching": lambda: len(baselines.bfs_switching(graph, 0)[1])}, "sssp": {"delta_stepping": lambda: baselines.sssp_delta(graph, 0)[1], "topological": lambda: baselines.sssp_topological(graph, 0)[1], "local": lambda: local.sssp_local(graph, 0)[1]}, "pagerank": {"residual": lambda: baselines.pagerank_residual(graph, tol=1e-5, max_rounds=rounds)[1]}, "cc": {"local": lambda: local.components_local(graph)[1]}}.get(app, {})
+    return {"bfs": {"direction_switching": lambda: len(baselines.bfs_switching(graph, 0)[1])}, "sssp": {"delta_stepping": lambda: baselines.sssp_delta(graph, 0)[1], "topological": lambda: baselines.sssp_topological(graph, 0)[1], "local": lambda: local.sssp_local(graph, 0)[1]}, "pagerank": {"residual": lambda: baselines.pagerank_residual(graph, max_rounds=rounds)[1]}, "cc": {"local": lambda: local.components_local(graph)[1]}}.get(app, {})
 
 
 def run_time(spark: SparkSession, sf_dir: str, apps: Sequence[str] = APPS, graphs: Sequence[str] = ("line_chain",), systems: Sequence[str] | None = None, rounds: int = 10) -> DataFrame:

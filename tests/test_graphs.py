@@ -3,6 +3,7 @@ from itertools import combinations
 import pytest
 from pyspark.sql import functions as F
 
+from binflow import queries
 from binflow.baselines import runs as baselines
 from binflow.operators import graphs as utilities
 from binflow.operators import relational
@@ -131,3 +132,12 @@ def test_incremental_labels(spark):
     first = streams.add_edges(None, spark.createDataFrame([(1, 2), (3, 4)], "src bigint, dst bigint"))
     second = streams.add_edges(first, spark.createDataFrame([(4, 2), (9, 8)], "src bigint, dst bigint"))
     assert rows(second) == [(1, 1), (2, 1), (3, 1), (4, 1), (8, 8), (9, 8)]
+
+
+@pytest.mark.parametrize("leaves", [9, 20_000])
+def test_residual_query_converges_at_any_size(spark, monkeypatch, leaves):
+    g = layout.build(generators.star_graph(spark, leaves).where("src = 0"), leaves + 1, 4)
+    monkeypatch.setattr(queries, "graph", lambda *_: g)
+    want = {r.vid: r["rank"] for r in runs.pagerank(g, 3).collect()}
+    got = {r.vid: r["rank"] for r in queries.pagerank_residual(spark, "").collect()}
+    assert got == pytest.approx(want, rel=1e-4) and min(got.values()) > 0
