@@ -35,5 +35,19 @@ def mode_plan(active: DataFrame, part_stats: DataFrame, k: int, mode: str = "aut
     messages = F.col("m_a") if exact else F.col("r") * F.col("e_a")
     rows = rows.withColumn("cost_sc", cost_sc(F.col("v_a"), F.col("e_a"), messages).cast("double"))
     rows = rows.withColumn("cost_pc", cost_pc(F.col("n_e"), F.col("r"), k).cast("double"))
-    chosen = F.when(F.col("cost_pc") / ratio < F.col("cost_sc"), "pc").otherwise("sc") if mode == "auto" else F.lit(mode)
+    chosen = F.when(F.col("cost_pc") / ratio <= F.col("cost_sc"), "pc").otherwise("sc") if mode == "auto" else F.lit(mode)
     return rows.withColumn("mode", chosen).select("part", "v_a", "e_a", "m_a", "n_e", "n_msg", "r", "cost_sc", "cost_pc", "mode")
+
+
+def choose(front: dict[int, tuple[int, int, int]], stats: dict[int, dict], k: int, mode: str = "auto", ratio: float = BANDWIDTH_RATIO, exact: bool = False) -> list[dict]:
+    """``mode_plan`` on the driver, from one (v_a, e_a, m_a) for each partition on the scatter list."""
+    if mode not in ("auto", "sc", "pc"):
+        raise ValueError(f"mode {mode}")
+    plan = []
+    for part, (v_a, e_a, m_a) in sorted(front.items()):
+        s = stats[part]
+        sc = float(cost_sc(v_a, e_a, m_a if exact else s["r"] * e_a))
+        pc = float(cost_pc(s["n_e"], s["r"], k))
+        chosen = mode if mode != "auto" else "pc" if pc / ratio <= sc else "sc"
+        plan.append({"part": part, "v_a": v_a, "e_a": e_a, "m_a": m_a, "cost_sc": sc, "cost_pc": pc, "mode": chosen} | {c: s[c] for c in ("n_e", "n_msg", "lo", "hi")})
+    return plan

@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from binflow.plans import engine, program
 from binflow.plans.engine import Result, run
 from binflow.plans.layout import Graph
-from binflow.storage import materialise
+from binflow.plans.modes import choose
+from binflow.storage import cut, drop_cut
 
 
 def bfs(graph: Graph, root: int, mode: str = "auto", paradigm: str = "bins", max_rounds: int | None = None, waves: int = 1) -> DataFrame:
@@ -28,27 +31,34 @@ def connected_components(graph: Graph, mode: str = "auto", paradigm: str = "bins
     return run(graph, program.connected_components(), mode, paradigm, waves=waves).state.select("vid", F.col("x").alias("label"))
 
 
-def pagerank(graph: Graph, rounds: int = 10, d: float = 0.85, mode: str = "pc", dangling: str = "lose") -> DataFrame:
+def pagerank(graph: Graph, rounds: int = 10, d: float = 0.85, mode: str = "auto", dangling: str = "lose") -> DataFrame:
     """(vid, rank) after a fixed number of rounds, all vertices active.
 
-    The rounds are one lazy plan: a round joins values to the slim bins where they lie,
-    shuffles values (PC) or values and ids (SC) once, and joins the result to the static
-    vertices. ``dangling`` lose keeps the mass of vertices without out-edges out of the sum,
-    uniform spreads it (one scalar a round).
+    As the frontier never changes, every partition's mode is chosen once. Where all choose
+    alike the rounds are one lazy plan of one shuffle each, cut now and then; else each round
+    is cut, for it reads its state twice. ``dangling`` lose keeps the mass of vertices without
+    out-edges out of the sum, uniform spreads it (one scalar a round).
     """
-    n = graph.n_vertices
-    one = program.pagerank(d)
+    n, one = graph.n_vertices, program.pagerank(d)
+    stats = graph.stats()
+    plan = choose({p: (s["n_v"], s["n_e"], s["n_msg"]) for p, s in stats.items()}, stats, graph.k, mode)
+    sc, pc = ([p["part"] for p in plan if p["mode"] == m] for m in ("sc", "pc"))
+    mixed = bool(sc and pc)
+    sc, pc = (sc, pc) if mixed else (() if sc else None, None if sc else ())
     state = graph.vertices.select("part", "vid", "deg", "opd", F.lit(1.0 / max(1, n)).alias("x"), F.lit(True).alias("active"))
-    for r in range(rounds):
-        messages = engine.scatter_pc(graph, state, one) if mode == "pc" else engine.scatter_sc(graph, state, one)
-        total = F.coalesce("m", F.lit(0.0))
-        rows = graph.vertices.join(engine.combine(messages, one), ["part", "vid"], "left")
-        if dangling == "uniform":
-            lost = state.agg(F.coalesce(F.sum(F.when(F.col("deg") == 0, F.col("x"))), F.lit(0.0))).first()[0]
-            total = total + lost / n
-        state = rows.select("part", "vid", "deg", "opd", ((1 - d) / n + d * total).alias("x"), F.lit(True).alias("active"))
-        if (r + 1) % engine.CUT_EVERY == 0 and r + 1 < rounds:
-            state = materialise(state, "ranks").repartitionById(graph.k, "part")
+    written = None
+    with engine.fixed_dealing(graph.vertices.sparkSession):
+        for r in range(rounds):
+            total = F.coalesce("m", F.lit(0.0))
+            rows = graph.vertices.join(engine.combined(graph, state, one, sc, pc).hint("shuffle_hash"), ["part", "vid"], "left")
+            if dangling == "uniform":
+                lost = state.agg(F.coalesce(F.sum(F.when(F.col("deg") == 0, F.col("x"))), F.lit(0.0))).first()[0]
+                total = total + lost / n
+            state = rows.select("part", "vid", "deg", "opd", ((1 - d) / n + d * total).alias("x"), F.lit(True).alias("active"))
+            if r + 1 < rounds and (mixed or dangling == "uniform" or (r + 1) % engine.CUT_EVERY == 0):
+                state = cut(state)
+                drop_cut(written)
+                written = state
     return state.select("vid", F.col("x").alias("rank"))
 
 
@@ -61,11 +71,18 @@ def spmv(graph: Graph, x: DataFrame | None = None) -> DataFrame:
     return rows.select("vid", F.coalesce("m", F.lit(0.0)).alias("y"))
 
 
-def _neighbours(graph: Graph, frontier: DataFrame, value, keys: list[str]) -> DataFrame:
-    """(keys, vid, p): what the frontier sends, summed a target. Work follows the frontier's edges."""
-    sent = frontier.select(*keys, F.col("vid").alias("src"), value.alias("val"))
-    rows = graph.by_source.select("src", "dst").join(sent, "src")
-    return rows.select(*keys, F.explode("dst").alias("vid"), "val").groupBy(*keys, "vid").agg(F.sum("val").alias("p"))
+def _send(graph: Graph, frontier: DataFrame, value, keys: list[str], parts: list[int]) -> DataFrame:
+    """(keys, part, vid, p): what the frontier sends, summed a target and dealt to its owner. Only bins of the frontier's partitions are read."""
+    sent = frontier.select(*keys, F.col("part").alias("src_part"), F.col("vid").alias("src"), value.alias("val"))
+    bins = engine.listed(graph.by_source, "src_part", parts, graph.k).select("src_part", "src", "dst_part", "dst")
+    rows = bins.join(sent.hint("shuffle_hash"), ["src_part", "src"]).select(*keys, F.col("dst_part").alias("part"), F.explode("dst").alias("vid"), "val")
+    return rows.repartitionById(graph.k, "part").groupBy(*keys, "part", "vid").agg(F.sum("val").alias("p"))
+
+
+def _seeded(graph: Graph, seeds: list[int]) -> DataFrame:
+    spark = graph.vertices.sparkSession
+    one = spark.createDataFrame([(s, s, 1.0) for s in sorted(set(seeds))], "seed bigint, vid bigint, p double")
+    return graph.vertices.join(F.broadcast(one), "vid").select("part", "seed", "vid", "deg", "p")
 
 
 def nibble(graph: Graph, seeds: list[int], eps: float = 1e-9, max_rounds: int = 20) -> DataFrame:
@@ -73,25 +90,29 @@ def nibble(graph: Graph, seeds: list[int], eps: float = 1e-9, max_rounds: int =
 
     A vertex is active while p >= eps deg (never without out-edges). Each round it sends
     p / (2 deg) along every edge, keeps p / 2, and stays active by that half alone if it is
-    high enough, whether or not anything arrives. State is held for touched vertices only, so
-    a batch of seeds needs no start-up of the size of the graph; the work of a round is that
-    of the active edges.
+    high enough, whether or not anything arrives. State is held for touched vertices only and
+    lies with their owners, so a batch of seeds needs no start-up of the size of the graph; a
+    round reads the bins of the partitions that have active vertices. Seeds outside the graph
+    have no rows.
     """
-    spark = graph.edges.sparkSession
-    degrees = graph.vertices.select("vid", "deg")
     high = (F.col("deg") > 0) & (F.col("p") >= eps * F.col("deg"))
-    state = spark.createDataFrame([(s, s, 1.0) for s in seeds], "seed bigint, vid bigint, p double").join(degrees, "vid")
-    state = state.select("seed", "vid", "deg", "p", (F.col("deg") > 0).alias("active")).persist()
-    for _ in range(max_rounds):
-        frontier = state.where("active")
-        if not frontier.limit(1).count():
-            break
-        arrived = _neighbours(graph, frontier, F.col("p") / (2 * F.col("deg")), ["seed"]).withColumn("got", F.lit(True)).withColumn("stay", F.lit(False))
-        half = F.when(F.col("active"), F.col("p") / 2).otherwise(F.col("p"))
-        kept = state.select("seed", "vid", half.alias("p"), F.lit(False).alias("got"), (F.col("active") & (F.col("p") / 2 >= eps * F.col("deg"))).alias("stay"))
-        merged = kept.unionByName(arrived).groupBy("seed", "vid").agg(F.sum("p").alias("p"), F.max("got").alias("got"), F.max("stay").alias("stay"))
-        new = merged.join(degrees, "vid").select("seed", "vid", "deg", "p", ((F.col("got") | F.col("stay")) & high).alias("active"))
-        state = materialise(new, "walk")
+    written = None
+    with engine.fixed_dealing(graph.vertices.sparkSession):
+        state = _seeded(graph, seeds).withColumn("active", F.col("deg") > 0)
+        for _ in range(max_rounds):
+            parts = [r.part for r in state.where("active").select("part").distinct().collect()]  # k numbers at most
+            if not parts:
+                break
+            arrived = _send(graph, state.where("active"), F.col("p") / (2 * F.col("deg")), ["seed"], parts).withColumnRenamed("p", "got")
+            both = state.join(arrived, ["part", "seed", "vid"], "full_outer").withColumnRenamed("deg", "known")
+            placed = both.join(graph.vertices.select("part", "vid", "deg"), ["part", "vid"])
+            active, p = F.coalesce("active", F.lit(False)), F.coalesce("p", F.lit(0.0))
+            kept = F.when(active, p / 2).otherwise(p)
+            on = F.col("got").isNotNull() | (active & (kept >= eps * F.col("deg")))
+            new = placed.select("part", "seed", "vid", "deg", (kept + F.coalesce("got", F.lit(0.0))).alias("p"), on.alias("on"))
+            state = cut(new.select("part", "seed", "vid", "deg", "p", (F.col("on") & high).alias("active")))
+            drop_cut(written)
+            written = state
     return state.select("seed", "vid", "p")
 
 
@@ -117,18 +138,23 @@ def sweep_cut(graph: Graph, walk: DataFrame, min_volume: int = 1) -> DataFrame:
 
 def heat_kernel(graph: Graph, seeds: list[int], t: float = 5.0, terms: int = 10) -> DataFrame:
     """(seed, vid, score): truncated exponential series e^-t sum t^j / j! P^j of the walk from each seed."""
-    spark = graph.edges.sparkSession
-    degrees = graph.vertices.select("vid", "deg")
-    at = spark.createDataFrame([(s, s, 1.0) for s in seeds], "seed bigint, vid bigint, p double")
-    factor, out = float(2.718281828459045**-t), None
-    for j in range(terms + 1):
-        part = at.select("seed", "vid", (F.col("p") * factor).alias("score"))
-        out = part if out is None else out.union(part)
-        if j == terms:
-            break
-        factor *= t / (j + 1)
-        at = materialise(_neighbours(graph, at.join(degrees, "vid").where("deg > 0"), F.col("p") / F.col("deg"), ["seed"]), "walk")
-    return out.groupBy("seed", "vid").agg(F.sum("score").alias("score"))
+    factor, written = math.exp(-t), None
+    with engine.fixed_dealing(graph.vertices.sparkSession):
+        at = _seeded(graph, seeds).withColumn("score", F.col("p") * factor)
+        for j in range(terms):
+            factor *= t / (j + 1)
+            going = at.where("p > 0 and deg > 0")
+            parts = [r.part for r in going.select("part").distinct().collect()]
+            if not parts:
+                break
+            moved = _send(graph, going, F.col("p") / F.col("deg"), ["seed"], parts).withColumnRenamed("p", "got")
+            both = at.select("part", "seed", "vid", "score").join(moved, ["part", "seed", "vid"], "full_outer")
+            p = F.coalesce("got", F.lit(0.0))
+            new = both.join(graph.vertices.select("part", "vid", "deg"), ["part", "vid"]).select("part", "seed", "vid", "deg", p.alias("p"), (F.coalesce("score", F.lit(0.0)) + p * factor).alias("score"))
+            at = cut(new)
+            drop_cut(written)
+            written = at
+    return at.select("seed", "vid", "score")
 
 
 def validate_bfs(graph: Graph, root: int, tree: DataFrame) -> DataFrame:

@@ -42,7 +42,7 @@ def out_partition_degree(spark, sf_dir):
 
 
 def part_stats_r(spark, sf_dir):
-    return graph(spark, sf_dir, "line_chain").part_stats.withColumn("r", F.round("r", 9))
+    return graph(spark, sf_dir, "line_chain").part_stats.select("part", "n_v", "n_e", "n_msg", F.round("r", 9).alias("r"))
 
 
 def mode_choice_all_active(spark, sf_dir):
@@ -338,7 +338,7 @@ def _mode_sql(active: str) -> str:
     return f"""with {STATS} act as ({active}),
 w as (select part, count(*) as v_a, cast(sum(coalesce(deg, 0)) as bigint) as e_a from act join v using (vid) left join o on vid = src group by part),
 c as (select part, v_a, e_a, (v_a + e_a) * 4 + 2 * (r.r * e_a * 4 + e_a * 4) as cost_sc, n_e * ((r.r + 1) * 4 + 8 * r.r) + 16 * 4 as cost_pc from w join r using (part))
-select part, v_a, e_a, round(cast(cost_sc as double), 6) as cost_sc, round(cast(cost_pc as double), 6) as cost_pc, case when cost_pc / 2 < cost_sc then 'pc' else 'sc' end as mode from c"""
+select part, v_a, e_a, round(cast(cost_sc as double), 6) as cost_sc, round(cast(cost_pc as double), 6) as cost_pc, case when cost_pc / 2 <= cost_sc then 'pc' else 'sc' end as mode from c"""
 
 
 def _nibble_sql(seeds: str) -> str:

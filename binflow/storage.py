@@ -53,6 +53,34 @@ def forget(df: DataFrame | None) -> None:
         remove(df.sparkSession, path)
 
 
+def cut(df: DataFrame) -> DataFrame:
+    """Compute ``df`` once into a reliable checkpoint in the shared folder; the result keeps its partitioning.
+
+    The partitioning is kept if the plan is made without adaptive execution.
+    """
+    sc = df.sparkSession.sparkContext
+    if not sc.getCheckpointDir():
+        sc.setCheckpointDir(f"{shared_root(df.sparkSession)}/binflow/checkpoints")
+    out = df.checkpoint()
+    out._binflow_path = out._jdf.queryExecution().analyzed().rdd().getCheckpointFile().get()
+    return out
+
+
+def drop_cut(df: DataFrame | None) -> None:
+    """Delete the files of a checkpoint that nothing reads any more."""
+    forget(df)
+
+
+def shuffle_bytes(spark: SparkSession) -> int:
+    """Bytes that this application's stages have written for shuffles so far."""
+    jsc, jvm = spark.sparkContext._jsc.sc(), spark.sparkContext._jvm
+    jsc.listenerBus().waitUntilEmpty(10_000)
+    none = jvm.java.util.ArrayList()
+    quantiles = spark.sparkContext._gateway.new_array(jvm.double, 0)
+    stages = jsc.statusStore().stageList(none, False, False, quantiles, none)
+    return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))
+
+
 def hadoop_path(spark: SparkSession, path: str):
     """(FileSystem, Path) of the JVM for ``path``."""
     jvm = spark.sparkContext._jvm
