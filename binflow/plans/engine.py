@@ -182,18 +182,17 @@ def gather(graph: Graph, state: DataFrame, arrived: DataFrame, program: VertexPr
 
     ``sends`` marks the active vertices that scattered; active ones that did not stay so.
     """
-    x, n = F.col("x"), graph.n_vertices
-    rows = state.join(arrived.hint("shuffle_hash"), ["part", "vid"], "left")
-    rows = rows.withColumn("before", F.when(sends, program.reinit(x)).otherwise(x).cast(program.value_type))
-    rows = rows.withColumn("stay", F.coalesce(F.when(sends, program.stays(x)).otherwise(F.col("active")), F.lit(False)))
-    before, got = F.col("before"), F.col("m").isNotNull()
-    rows = rows.withColumn("after", F.when(got, program.merge(before, F.col("m").cast(program.value_type))).otherwise(before))
-    hit = got & F.coalesce(program.activates(before, F.col("after")), F.lit(False))
-    rows = rows.withColumn("goes", F.col("stay") | hit).withColumn("hit", hit)
-    final = F.when(F.col("goes"), program.finalise(F.col("after"), n)).otherwise(F.col("after")).cast(program.value_type)
+    x, n, got = F.col("x"), graph.n_vertices, F.col("m").isNotNull()
+    before = F.when(sends, program.reinit(x)).otherwise(x).cast(program.value_type)
+    after = F.when(got, program.merge(before, F.col("m").cast(program.value_type))).otherwise(before)
+    hit = got & F.coalesce(program.activates(before, after), F.lit(False))
+    stay = F.coalesce(F.when(sends, program.stays(x)).otherwise(F.col("active")), F.lit(False))
+    same = ("part", "vid", "deg", "opd")
+    rows = state.join(arrived.hint("shuffle_hash"), ["part", "vid"], "left").select(*same, "active", "fresh", "since", after.alias("x"), hit.alias("hit"), (stay | hit).alias("goes"))
+    final = F.when(F.col("goes"), program.finalise(F.col("x"), n)).otherwise(F.col("x")).cast(program.value_type)
     keep = F.col("goes") & F.coalesce(program.keeps(final), F.lit(False))
-    since = F.when(F.col("hit"), F.lit(round_)).otherwise(F.col("since"))
-    return rows.select("part", "vid", "deg", "opd", final.alias("x"), keep.alias("active"), since.cast("int").alias("since"), (F.col("hit") | F.col("active") | F.col("fresh")).alias("touched"))
+    since = F.when(F.col("hit"), F.lit(round_)).otherwise(F.col("since")).cast("int")
+    return rows.select(*same, final.alias("x"), keep.alias("active"), since.alias("since"), (F.col("hit") | F.col("active") | F.col("fresh")).alias("touched"))
 
 
 def vertex_messages(graph: Graph, state: DataFrame, program: VertexProgram, paradigm: str, blocks: int = 16) -> DataFrame:

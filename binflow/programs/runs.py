@@ -20,13 +20,13 @@ def bfs(graph: Graph, root: int, mode: str = "auto", paradigm: str = "bins", max
     return out.where("x is not null").select("vid", F.col("x").alias("parent"), F.col("since").alias("level"))
 
 
-def sssp(graph: Graph, root: int, mode: str = "auto", paradigm: str = "bins", waves: int = 2) -> DataFrame:
-    """(vid, dist) of the vertices that the root reaches. Interleaved in two waves by default."""
+def sssp(graph: Graph, root: int, mode: str = "auto", paradigm: str = "bins", waves: int = 1) -> DataFrame:
+    """(vid, dist) of the vertices that the root reaches. ``waves`` > 1 interleaves: fewer rounds, but a shuffle and a barrier for each wave."""
     out = run(graph, program.sssp(root), mode, paradigm, waves=waves).state
     return out.where("x is not null").select("vid", F.col("x").alias("dist"))
 
 
-def connected_components(graph: Graph, mode: str = "auto", paradigm: str = "bins", waves: int = 2) -> DataFrame:
+def connected_components(graph: Graph, mode: str = "auto", paradigm: str = "bins", waves: int = 1) -> DataFrame:
     """(vid, label = smallest vertex of the component) over edges in both directions."""
     return run(graph, program.connected_components(), mode, paradigm, waves=waves).state.select("vid", F.col("x").alias("label"))
 
