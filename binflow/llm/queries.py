@@ -27,7 +27,7 @@ def op3_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    store = sharding.shard_table(table(spark, sf_dir, "documents"), new_folder(spark, "shards"))
+    store = sharding.shard_table(table(spark, sf_dir, "documents"), new_folder(spark, "shards"), keep_versions=2)
     text = F.coalesce("text", F.lit(""))
     return store.read().select("doc_id", "lang", "source", "n_chars", F.octet_length(text).cast("bigint").alias("n_bytes"), F.md5(text.cast("binary")).alias("text_md5"))
 
@@ -85,30 +85,31 @@ def oracle_sql() -> dict[str, str]:
 
 
 def _license_sql() -> str:
-    """The same sentences and rules, evaluated by DuckDB."""
+    """The tables of sentences and rules, evaluated by DuckDB: own cuts and patterns, no trigger words, rules as sequences of alternatives."""
     known = ", ".join(f"('{s}', '{i}')" for s, i in licenses.SENTENCES.items())
-    rows = "found"
-    steps = []
-    for k, (_, parts) in enumerate(licenses.RULES):
-        pattern = licenses.rule_pattern(parts)
-        steps.append(f"s{k} as (select * exclude (rest), rest <> '' and regexp_matches(rest, '{pattern}') as r{k}, regexp_replace(rest, '{pattern}', '|', 'g') as rest from {rows})")
+    rows, steps, names = "found", [], []
+    for k, (name, parts) in enumerate(licenses.RULES):
+        pattern = "".join("(;" + part.rstrip("*").replace(".", "\\.") + ";)" + "?" * part.endswith("*") for part in parts)
+        steps.append(f"s{k} as (select * exclude (rest), regexp_matches(rest, '{pattern}') as r{k}, regexp_replace(rest, '{pattern}', '|', 'g') as rest from {rows})")
+        names.append(f"case when r{k} then '{name}' end")
         rows = f"s{k}"
-    names = ", ".join(f"case when r{k} then '{n}' end" for k, (n, _) in enumerate(licenses.RULES))
     order = ", ".join(f"'{n}'" for n in dict.fromkeys(n for n, _ in licenses.RULES))
     return f"""
         with known(sentence, ident) as (values {known}),
-        cut as (select rowid as row, doc_id, unnest(string_split(regexp_replace(coalesce(text, ''), '([.!?])[ \\t\\r]+', '\\1\n', 'g'), chr(10))) as sentence,
-                       generate_subscripts(string_split(regexp_replace(coalesce(text, ''), '([.!?])[ \\t\\r]+', '\\1\n', 'g'), chr(10)), 1) as place
-                from (select row_number() over () as rowid, doc_id, text from documents)),
-        plain as (select row, place, trim(regexp_replace(lower(sentence), '[^a-z0-9]+', ' ', 'g')) as sentence from cut),
-        named as (select row, place, coalesce(ident, case when regexp_matches(plain.sentence, '{licenses.COPYRIGHT}') then 'copyright' end) as ident
-                  from plain left join known using (sentence)),
-        hit as (select row, string_agg(ident, ';' order by place) as sentence_ids,
-                       string_agg(';' || ident || ';', '' order by place) filter (where ident <> 'copyright') as rest
-                from named where ident is not null group by row),
-        docs as (select row_number() over () as row, doc_id from documents),
+        docs as (select row_number() over () as row, doc_id, lower(coalesce(text, '')) as low from documents),
+        parts as (select row, string_split(regexp_replace(regexp_replace(low, '\n[^a-z0-9A-Z]*\n', chr(1), 'g'), '([.]|!|[?])[ \\t\\r\n]+|:[ \\t\\r]*\n', chr(1), 'g'), chr(1)) as parts from docs),
+        cut as (select row, unnest(parts) as sentence, generate_subscripts(parts, 1) as place from parts),
+        whole as (select row, place, sentence, trim(regexp_replace(sentence, '[^0-9a-z]+', ' ', 'g')) as plain from cut),
+        told as (select whole.*, ident from whole left join known on known.sentence = plain),
+        lines as (select row, place, unnest(string_split(sentence, chr(10))) as line, generate_subscripts(string_split(sentence, chr(10)), 1) as nth from told where ident is null),
+        shown as (select row, place, nth, trim(regexp_replace(line, '[^0-9a-z]+', ' ', 'g')) as plain from lines),
+        each as (select row, place, 0 as nth, ident from told where ident is not null
+                 union all select row, place, nth, coalesce(ident, case when regexp_matches(plain, '^copyright (c )?[0-9]{{4}}( |$)') then 'copyright' end) from shown left join known on sentence = plain),
+        hit as (select row, string_agg(ident, ';' order by place, nth) as sentence_ids,
+                       string_agg(';' || ident || ';', '' order by place, nth) filter (where ident <> 'copyright') as rest
+                from each where ident is not null group by row),
         found as (select doc_id, coalesce(sentence_ids, '') as sentence_ids, coalesce(rest, '') as rest from docs left join hit using (row)),
         {", ".join(steps)}
-        select doc_id, sentence_ids, coalesce(array_to_string(list_filter([{order}], lambda x: list_contains([{names}], x)), ';'), '') as licences,
+        select doc_id, sentence_ids, coalesce(array_to_string(list_filter([{order}], lambda x: list_contains([{", ".join(names)}], x)), ';'), '') as licences,
                cast(len(list_filter(regexp_split_to_array(rest, '[;|]+'), lambda x: x <> '')) as int) as n_unmatched
         from {rows}"""

@@ -173,10 +173,135 @@ def test_later_documents_share_more_than_the_first_holds(spark, tasks):
     assert sorted((r.doc_id, r.start_word, r.end_word, r.source_id) for r in found) == [(3 * i + 2, 60, 115, 3 * i + 1) for i in range(40)]
 
 
+MIT = """MIT License
+
+Copyright (c) 2021 Some Body
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM,
+OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE
+SOFTWARE.
+"""
+GPL = """/*
+ * This program is free software: you can redistribute it and/or modify
+ * it under the terms of the GNU General Public License as published by
+ * the Free Software Foundation, either version 3 of the License, or
+ * (at your option) any later version.
+ *
+ * This program is distributed in the hope that it will be useful,
+ * but WITHOUT ANY WARRANTY; without even the implied warranty of
+ * MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+ * GNU General Public License for more details.
+ */
+int main;
+"""
+BSD = """Copyright 2019 The Writers
+All rights reserved.
+
+# Redistribution and use in source and binary forms, with or without
+# modification, are permitted provided that the following conditions are met:
+#
+# 1. Redistributions of source code must retain the above copyright notice, this
+#    list of conditions and the following disclaimer.
+# 2. Redistributions in binary form must reproduce the above copyright notice,
+#    this list of conditions and the following disclaimer in the documentation
+#    and/or other materials provided with the distribution.
+# 3. Neither the name of the copyright holder nor the names of its
+#    contributors may be used to endorse or promote products derived from
+#    this software without specific prior written permission.
+"""
+APACHE = """// Licensed under the Apache License, Version 2.0 (the "License");
+// you may not use this file except in compliance with the License.
+// You may obtain a copy of the License at
+//
+//     http://www.apache.org/licenses/LICENSE-2.0
+//
+// Unless required by applicable law or agreed to in writing, software
+// distributed under the License is distributed on an "AS IS" BASIS,
+// WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+// See the License for the specific language governing permissions and
+// limitations under the License.
+"""
+
+
 def test_licences(spark):
-    df = spark.createDataFrame([(1, "x.\nLicensed under the MIT License. All rights reserved.\nCopyright (c) 2020 A"), (2, "A licence of nothing")], "doc_id bigint, text string")
-    got = {r.doc_id: (r.sentence_ids, r.licences, r.n_unmatched) for r in licenses.recognise(df).collect()}
-    assert got == {1: ("mit-notice;all-rights-reserved;copyright", "MIT;All-Rights-Reserved", 0), 2: ("", "", 0)}
+    texts = {
+        1: "x.\nLicensed under the MIT License. All rights reserved.\nCopyright (c) 2020 A",
+        2: "A licence of nothing",
+        3: MIT,
+        4: GPL,
+        5: BSD,
+        6: APACHE,
+        7: "some words without a stop\nthis work is dedicated to the public-domain\nmore words",
+        8: "this work is dedicated to the public  domain",
+        9: "- \n" * 20_000 + "Released under the MIT License.",
+    }
+    got = {r.doc_id: (r.sentence_ids, r.licences, r.n_unmatched) for r in licenses.recognise(spark.createDataFrame(list(texts.items()), "doc_id bigint, text string")).collect()}
+    assert got[1] == ("mit-notice;all-rights-reserved;copyright", "MIT;All-Rights-Reserved", 0) and got[2] == ("", "", 0)
+    assert got[3] == ("mit-title;copyright;mit-grant;mit-condition;mit-no-warranty;mit-no-liability", "MIT", 0)
+    assert got[4] == ("gpl-terms-3-later;gpl-no-warranty;gpl-see-details", "GPL-3.0-or-later", 0)
+    assert got[5][1:] == ("BSD-3-Clause;All-Rights-Reserved", 0)
+    assert got[6] == ("apache-notice-2;apache-copy-at;apache-no-warranty;apache-see-license", "Apache-2.0", 0)
+    assert got[7][1] == got[8][1] == "Public-Domain" and got[9][1] == "MIT"
+    own = licenses.recognise(spark.createDataFrame([(1, "Use freely, ask\nnobody.")], "doc_id bigint, text string"), known={"use freely ask nobody": "own"}, rules=[("Own", ["own"])]).first()
+    assert (own.sentence_ids, own.licences) == ("own", "Own")
+
+
+def test_licence_sql_equals(spark, tmp_path):
+    import duckdb
+
+    from binflow.llm import queries
+
+    docs = [(i, t) for i, t in enumerate([MIT, GPL, BSD, APACHE, None, "", MIT + GPL, "x. " * 10 + BSD, "Licensed under CC BY 4.0", "Released under the MIT License", GPL, GPL])]
+    df = spark.createDataFrame(docs, "doc_id bigint, text string")
+    con = duckdb.connect()
+    con.register("documents", df.toPandas())
+    want = sorted(con.execute(queries.oracle_sql()["op10_license_scan"]).fetchall())
+    assert sorted(map(tuple, licenses.recognise(df).collect())) == want
+
+
+def test_shards_of_a_writer_survive_the_vacuum_of_another(spark, tmp_path):
+    """Write, the other store's vacuum, commit: the rows are there; without announcement they are cleaned up."""
+    rows = spark.range(100).select("id")
+    one, two = (sharding.ShardStore(spark, f"file://{tmp_path}/store") for _ in range(2))
+    one.append(rows)
+    one.append_dealt(rows, (F.col("id") % 2).cast("int"), 2, after_each=lambda: two.vacuum())
+    assert one.read().count() == 200 and one.read(1).count() == 100
+    rows.write.parquet(f"file://{tmp_path}/store/data/9-left/0")
+    assert two.vacuum(keep_versions=9) > 0 and one.read().count() == 200
+    two._announce("9-new")
+    rows.write.parquet(f"file://{tmp_path}/store/data/9-new/0")
+    assert two.vacuum(keep_versions=9) == 0 and two.vacuum(keep_versions=9, forgotten_ms=0) > 0
+
+
+def test_runs_become_files_of_their_size(spark, tmp_path):
+    """Small shards of two tiers are merged tier by tier, one file a run; older versions stay readable."""
+    store = sharding.ShardStore(spark, f"file://{tmp_path}/store", target_bytes=8 << 20, fan_in=4, floor_bytes=4096)
+    wide = spark.range(20_000).select("id", F.sha2(F.col("id").cast("string"), 256).alias("h"))
+    for _ in range(4):
+        store.append(wide.where("id < 100").coalesce(1))
+    for _ in range(4):
+        store.append(wide.where("id < 5000").coalesce(1))
+    before = store.version()
+    runs = store.plan(store.manifest())
+    assert sorted(len(r) for r in runs) == [4, 4]
+    store.compact()
+    sizes = sorted(s.bytes for s in store.manifest())
+    assert len(sizes) == 2 and sizes[1] > 10 * sizes[0] and sizes[1] < 1.2 * sum(s.bytes for s in max(runs, key=lambda r: r[0].bytes))
+    assert store.read().count() == store.read(before).count() == 20_400
 
 
 def test_quality_on_held_out_rows(spark):
