@@ -15,6 +15,7 @@ import uuid
 from collections import defaultdict
 from collections.abc import Callable
 from dataclasses import asdict, dataclass
+from functools import reduce
 
 from py4j.protocol import Py4JJavaError
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -24,6 +25,7 @@ from binflow.storage import hadoop_path
 
 #: runs that one job merges, and the age at which an announced write counts as given up
 RUNS_AT_ONCE, FORGOTTEN_MS = 512, 7 * 24 * 3600 * 1000
+UNION_SETTING = "spark.sql.unionOutputPartitioning"
 MANIFEST = "path string, bytes bigint, sequence bigint"
 
 
@@ -155,6 +157,16 @@ class ShardStore:
             runs.append(run)
         return [r for r in runs if len(r) > 1]
 
+    def _merge(self, runs: list[list[Shard]], folder: str) -> None:
+        """One task and one file a run: a union would otherwise put one-task inputs together into one task."""
+        parts = [self.spark.read.parquet(*(s.path for s in run)).coalesce(1) for run in runs]
+        before = self.spark.conf.get(UNION_SETTING, "true")
+        self.spark.conf.set(UNION_SETTING, "false")
+        try:
+            reduce(DataFrame.union, parts).write.parquet(folder)
+        finally:
+            self.spark.conf.set(UNION_SETTING, before)
+
     def compact(self) -> int:
         """Merge all planned runs, again while any are left, one commit a pass; returns the version.
 
@@ -171,12 +183,8 @@ class ShardStore:
             self._announce(batch)
             new = []
             for at in range(0, len(runs), RUNS_AT_ONCE):
-                rows = None
-                for run in runs[at : at + RUNS_AT_ONCE]:
-                    one = self.spark.read.parquet(*(s.path for s in run)).coalesce(1)
-                    rows = one if rows is None else rows.union(one)
                 folder = f"{self.path}/data/{batch}/{at}"
-                rows.write.parquet(folder)
+                self._merge(runs[at : at + RUNS_AT_ONCE], folder)
                 new += self._files(folder, base + 1)
             gone = {s.path for r in runs for s in r}
             try:
