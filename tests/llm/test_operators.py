@@ -118,6 +118,40 @@ def test_embeddings_against_brute_force(spark):
         assert [found[q, k + 1] for k in range(5)] == [(int(ids[i]), int(score[i])) for i in order]
 
 
+@pytest.mark.parametrize("offset", [0.0, 0.5])
+def test_recall_near_the_threshold(spark, offset):
+    """Pairs planted at cosine 0.951 among 6,000 vectors, also where all vectors lean one way; nothing below 0.95 is linked."""
+    draw = np.random.default_rng(12)
+    x = draw.normal(size=(6000, 32)) + offset
+    u = x[:1500] / np.linalg.norm(x[:1500], axis=1)[:, None]
+    side = draw.normal(size=u.shape)
+    side -= (side * u).sum(axis=1)[:, None] * u
+    side /= np.linalg.norm(side, axis=1)[:, None]
+    both = np.concatenate([x, 3 * (0.951 * u + np.sqrt(1 - 0.951**2) * side)])
+    unit = both / np.linalg.norm(both, axis=1)[:, None]
+    want = {i: int(n) for i, n in enumerate((unit @ unit.T >= 0.95).sum(axis=1) - 1)}
+    got = {r.vec_id: r.n_links for r in neardup.near_duplicates(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(both)], "vec_id bigint, embedding array<double>")).collect()}
+    assert all(got[i] <= want[i] for i in want)
+    assert sum(got.values()) >= 0.95 * sum(want.values()) and sum(want.values()) >= 3000
+
+
+def test_long_lists_and_odd_vectors(spark, monkeypatch):
+    """A list longer than a block is compared in pairs of blocks; huge and tiny vectors keep their links; empty tables have none."""
+    monkeypatch.setattr(neardup, "BLOCK", 16)
+    draw = np.random.default_rng(13)
+    x = np.concatenate([draw.normal(size=8) + 0.05 * draw.normal(size=(200, 8)), draw.normal(size=(100, 8))])
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(300, [1e200, 1e200]), (301, [1e-200, 1.01e-200]), (302, [-0.0, 2.0]), (303, [0.0, 2.0]), (303, [0.0, 2.0]), (None, [1.0, 1.0])]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
+    full = np.zeros((305, 8))
+    full[:300] = x
+    full[300, :2], full[301, :2], full[302:, 1] = 1, (1, 1.01), 1
+    unit = full / np.linalg.norm(full, axis=1)[:, None]
+    want = (unit @ unit.T >= 0.95).sum(axis=1) - 1
+    got = sorted((r.vec_id, r.n_links) for r in neardup.near_duplicates(df).collect() if r.vec_id is not None)
+    assert got == sorted(zip([*range(304), 303], want.tolist(), strict=True))
+    assert neardup.near_duplicates(df.limit(0)).count() == 0 and topk.top_k(df.limit(0), F.lit(True)).count() == 0
+
+
 def test_repeated_passage_is_cut_once(spark):
     draw = random.Random(4)
     words = lambda n: " ".join("".join(draw.choices("abcdefgh", k=6)) for _ in range(n))
