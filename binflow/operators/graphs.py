@@ -102,7 +102,7 @@ def unpivot_grid(grid: DataFrame, row: str, col: str, val: str) -> DataFrame:
     return grid.unpivot(row, [c for c in grid.columns if c != row], col, val)
 
 
-def hash_to_min(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def alternating_stars(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(vid, label = smallest vertex of its component) over any ids, both directions implied.
 
     Alternates two steps until nothing changes: larger neighbours go to the smallest one of a

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -18,18 +19,26 @@ from binflow.sources import generators, views
 from binflow.storage import table
 from binflow.streaming import edges as streams
 
-K, EPS, STEPS = 16, 1e-4, 3
+#: partitions of the registered graphs; threshold and rounds of the walks
+K, EPS, STEPS, TERMS = 16, 1e-9, 20, 10
 _GRAPHS: dict[tuple, Graph] = {}
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def _views(spark: SparkSession, sf_dir: str) -> dict[str, Callable[[], tuple[DataFrame, int | None]]]:
+    both = lambda name: lambda: (views.symmetrise(views.VIEWS[name](spark, sf_dir)), None)
+    parts = lambda: table(spark, sf_dir, "part").count()
+    out = {name: (lambda name=name: (views.VIEWS[name](spark, sf_dir), None)) for name in ("host_links", "page_links", "geo_tree", "order_part", "part_supplier", "cust_supplier")}
+    out |= {"copurchase": lambda: (views.VIEWS["copurchase"](spark, sf_dir), parts()), "event_chain": lambda: (views.VIEWS["event_chain"](spark, sf_dir), table(spark, sf_dir, "events").count())}
+    out |= {"line_chain": lambda: (views.g_line_chain(spark, sf_dir), parts()), "line_both": lambda: (views.symmetrise(views.g_line_chain(spark, sf_dir)), parts())}
+    return out | {"geo_both": both("geo_tree"), "turns_both": both("turns"), "page_both": both("page_links"), "host_both": both("host_links")}
+
+
 def graph(spark: SparkSession, sf_dir: str, name: str) -> Graph:
     """A built view, kept for the session."""
     key = (spark.sparkContext.applicationId, sf_dir, name)
     if key not in _GRAPHS:
-        n = table(spark, sf_dir, "part").count() if name in ("line_chain", "line_both") else None
-        edges = {"line_chain": lambda: views.g_line_chain(spark, sf_dir), "line_both": lambda: views.symmetrise(views.g_line_chain(spark, sf_dir)), "geo_both": lambda: views.symmetrise(views.g_geo_tree(spark, sf_dir)), "turns_both": lambda: views.symmetrise(views.g_turns(spark, sf_dir)), "host_links": lambda: views.g_host_links(spark, sf_dir)}[name]()
-        _GRAPHS[key] = layout.build(edges, n, K)
+        _GRAPHS[key] = layout.build(*_views(spark, sf_dir)[name](), K)
     return _GRAPHS[key]
 
 
@@ -80,8 +89,8 @@ def _crossing(order: str) -> Query:
     return query
 
 
-def _bfs(**how) -> Query:
-    return lambda spark, sf_dir: runs.bfs(graph(spark, sf_dir, "line_chain"), 0, **how)
+def _bfs(name: str = "line_chain", root: int = 0, **how) -> Query:
+    return lambda spark, sf_dir: runs.bfs(graph(spark, sf_dir, name), root, **how)
 
 
 def _bfs_vertex(direction: str) -> Query:
@@ -142,7 +151,7 @@ def sweep_cut(spark, sf_dir):
 
 
 def heat_kernel(spark, sf_dir):
-    return runs.heat_kernel(graph(spark, sf_dir, "line_both"), [0], terms=3)
+    return runs.heat_kernel(graph(spark, sf_dir, "line_both"), [0], terms=TERMS).withColumn("score", F.round("score", 9))
 
 
 def spmv_ones(spark, sf_dir):
@@ -154,17 +163,32 @@ def validate_bfs(spark, sf_dir):
     return runs.validate_bfs(g, 0, runs.bfs(g, 0))
 
 
+def validate_bfs_damaged(spark, sf_dir):
+    """The checks on a tree with wrong parents, wrong levels and missing vertices."""
+    g = graph(spark, sf_dir, "line_chain")
+    tree, vid = runs.bfs(g, 0), F.col("vid")
+    wrong = F.when(vid % 11 == 1, (vid + 1) % g.n_vertices).otherwise(F.col("parent"))
+    deeper = F.when(vid % 7 == 2, F.col("level") + 2).otherwise(F.col("level"))
+    return runs.validate_bfs(g, 0, tree.where("vid = 0 or vid % 13 <> 3").select("vid", wrong.alias("parent"), deeper.alias("level")))
+
+
 def _log(name: str, **how) -> Query:
     return lambda spark, sf_dir: runs.result_of(graph(spark, sf_dir, "line_chain"), name, **how).log_frame()
 
 
+def round_log_bfs(spark, sf_dir):
+    """Work of every round: what is active, sent, chosen and touched."""
+    log = runs.result_of(graph(spark, sf_dir, "line_chain"), "bfs", trace=True).log_frame()
+    return log.select("round", "frontier", "e_active", "msgs", "ids_sent", "sc_parts", "pc_parts", F.round("model_bytes", 6).alias("model_bytes"), "work", "touched_parts", "touched_bins")
+
+
 def random_read_share(spark, sf_dir):
     g = graph(spark, sf_dir, "line_chain")
     return relational.random_read_share(g.edges, g.n_vertices)
 
 
 def rmat_degree_hist(spark, sf_dir):
-    return relational.degrees(generators.rmat(spark, 10, 8)).groupBy("out_deg").agg(F.count(F.lit(1)).alias("n"))
+    return relational.degrees(generators.rmat(spark, 10, 16)).groupBy("out_deg").agg(F.count(F.lit(1)).alias("n"))
 
 
 def top_rank_parts(spark, sf_dir):
@@ -224,8 +248,8 @@ def _cc(**how) -> Query:
     return lambda spark, sf_dir: runs.connected_components(graph(spark, sf_dir, "geo_both"), **how)
 
 
-def cc_hash_to_min(spark, sf_dir):
-    return utilities.hash_to_min(views.g_event_chain(spark, sf_dir))
+def cc_alternating_stars(spark, sf_dir):
+    return utilities.alternating_stars(views.g_event_chain(spark, sf_dir))
 
 
 def model_misses(spark, sf_dir):
@@ -250,7 +274,7 @@ def component_sizes(spark, sf_dir):
 
 
 def dangling_vertices(spark, sf_dir):
-    return utilities.dangling(graph(spark, sf_dir, "line_chain").vertices)
+    return utilities.dangling(graph(spark, sf_dir, "geo_tree").vertices)
 
 
 def degree_quantiles(spark, sf_dir):
@@ -266,9 +290,69 @@ def pivot_events(spark, sf_dir):
     return utilities.pivot_grid(counts, "user_id", "event_type", "n", ["view", "signup", "error", "click", "purchase"]).fillna(0)
 
 
-def idle_customers(spark, sf_dir):
-    orders = table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("c_custkey"))
-    return relational.anti(table(spark, sf_dir, "customer").select("c_custkey"), orders)
+def _large_orders(spark, sf_dir):
+    return table(spark, sf_dir, "orders").where("o_totalprice > 450000").select(F.col("o_custkey").alias("c_custkey"))
+
+
+def anti_customers(spark, sf_dir):
+    return relational.anti(table(spark, sf_dir, "customer").select("c_custkey"), _large_orders(spark, sf_dir))
+
+
+def semi_customers(spark, sf_dir):
+    return relational.semi(table(spark, sf_dir, "customer").select("c_custkey"), _large_orders(spark, sf_dir))
+
+
+def _frontiers(spark, sf_dir):
+    """Targets of vertex 0 and targets of vertex 1."""
+    edges = graph(spark, sf_dir, "line_chain").edges
+    return tuple(edges.where(F.col("src") == v).select(F.col("dst").alias("vid")) for v in (0, 1))
+
+
+def frontier_union(spark, sf_dir):
+    return relational.union_ids(*_frontiers(spark, sf_dir))
+
+
+def frontier_intersect(spark, sf_dir):
+    return relational.intersect_ids(*_frontiers(spark, sf_dir))
+
+
+def frontier_except(spark, sf_dir):
+    return relational.except_ids(*_frontiers(spark, sf_dir))
+
+
+def sampled_seeds(spark, sf_dir):
+    return relational.hash_sample(graph(spark, sf_dir, "line_chain").vertices.select("vid"), "vid", 0.1)
+
+
+def degree_histogram(spark, sf_dir):
+    return relational.histogram(graph(spark, sf_dir, "line_chain").vertices, "deg", 5)
+
+
+def grouping_sets_events(spark, sf_dir):
+    events = table(spark, sf_dir, "events")
+    types, users = F.col("event_type"), F.col("user_id")
+    return events.groupingSets([[types], [users], []], types, users).agg(F.count(F.lit(1)).alias("n"), F.grouping_id().cast("bigint").alias("level"))
+
+
+def above_average_orders(spark, sf_dir):
+    """Customers with an order above three halves of the mean price: a scalar subquery and EXISTS."""
+    table(spark, sf_dir, "orders").createOrReplaceTempView("binflow_orders")
+    table(spark, sf_dir, "customer").createOrReplaceTempView("binflow_customer")
+    return spark.sql("select c_custkey from binflow_customer c where exists (select 1 from binflow_orders o where o.o_custkey = c.c_custkey and o.o_totalprice > 1.5 * (select avg(o_totalprice) from binflow_orders))")
+
+
+def moving_mean_events(spark, sf_dir):
+    rows = table(spark, sf_dir, "events").select("user_id", "event_id", "value")
+    return relational.moving_mean(rows, ["user_id"], "event_id", "value", 4).select("event_id", F.round("mean", 6).alias("mean"))
+
+
+def embed_sim_edges(spark, sf_dir):
+    pairs = relational.similarity_join(table(spark, sf_dir, "embeddings").where("embedding is not null"), "vec_id", "embedding", "label", 0.3)
+    return pairs.withColumn("cosine", F.round("cosine", 6))
+
+
+def doc_bench_shingles(spark, sf_dir):
+    return relational.shingle_join(table(spark, sf_dir, "documents"), "doc_id", table(spark, sf_dir, "benchmark"), "item_id", "text", 8)
 
 
 def workload_ordering(spark, sf_dir):
@@ -280,7 +364,23 @@ def workload_mode_mix(spark, sf_dir):
 
 
 def workload_degree_sweep(spark, sf_dir):
-    return workloads.degree_sweep(spark, 8, (1, 16), ("pagerank",), 2)
+    return workloads.degree_sweep(spark)
+
+
+def workload_ablation(spark, sf_dir):
+    return workloads.ablation(spark, sf_dir)
+
+
+def workload_per_round(spark, sf_dir):
+    return workloads.per_round(spark, sf_dir)
+
+
+def workload_shuffle_bytes(spark, sf_dir):
+    return workloads.shuffle_contrast(graph(spark, sf_dir, "line_chain"))
+
+
+def workload_build_time(spark, sf_dir):
+    return workloads.build_time(spark, sf_dir)
 
 
 def stream_sliding_counts(spark, sf_dir):
@@ -301,19 +401,23 @@ def stream_incremental_cc(spark, sf_dir):
 
 def queries() -> dict[str, Query]:
     plain = (bins_summary, out_partition_degree, part_stats_r, mode_choice_all_active, mode_choice_bfs_round2, gather_list_round, bin_list_round, sssp_delta, sssp_topological, cc_geo_tree, cc_turns, pagerank_residual, nibble_line_chain, nibble_multi_seed, sweep_cut, heat_kernel, spmv_ones, validate_bfs, random_read_share, rmat_degree_hist, top_rank_parts, page_links, cube_events, rollup_geo, asof_event, interval_events, lead_gap_events, stream_window_counts)
-    plain += (sssp_local, cc_local_user_order, cc_hash_to_min, model_misses, triangle_count, k_hop2, levels_histogram, component_sizes, dangling_vertices, degree_quantiles, conductance_even, pivot_events, idle_customers, workload_ordering, workload_mode_mix, workload_degree_sweep, stream_sliding_counts, stream_session_counts, stream_dedup, stream_incremental_cc)
+    plain += (sssp_local, cc_local_user_order, cc_alternating_stars, model_misses, triangle_count, k_hop2, levels_histogram, component_sizes, dangling_vertices, degree_quantiles, conductance_even, pivot_events, anti_customers, semi_customers, frontier_union, frontier_intersect, frontier_except, sampled_seeds, degree_histogram, grouping_sets_events, above_average_orders, moving_mean_events, embed_sim_edges, doc_bench_shingles, validate_bfs_damaged, round_log_bfs, workload_ordering, workload_mode_mix, workload_degree_sweep, workload_ablation, workload_per_round, workload_shuffle_bytes, workload_build_time, stream_sliding_counts, stream_session_counts, stream_dedup, stream_incremental_cc)
     out: dict[str, Query] = {f.__name__: f for f in plain}
     out |= {f"interpartition_edges_{o}_order": _crossing(o) for o in ("time", "user", "hash")}
     out |= {"bfs_line_chain": _bfs(), "bfs_sc": _bfs(mode="sc"), "bfs_pc": _bfs(mode="pc"), "bfs_push": _bfs(paradigm="push"), "bfs_pull": _bfs(paradigm="pull"), "bfs_blocked": _bfs(paradigm="blocked"), "bfs_edge_centric": _bfs(paradigm="edge"), "bfs_bottom_up": _bfs_vertex("bottom_up"), "bfs_direction_opt": _bfs_vertex("auto")}
-    out |= {"sssp_line_chain": _sssp(), "sssp_bulk": _sssp(waves=1), "sssp_edge_centric": _sssp(paradigm="edge", waves=1), "sssp_push": _sssp(paradigm="push", waves=1), "sssp_pull": _sssp(paradigm="pull", waves=1), "sssp_blocked": _sssp(paradigm="blocked", waves=1)}
-    out |= {"pagerank10_line_chain": _ranks("line_chain", "pc"), "pagerank10_sc": _ranks("line_chain", "sc"), "pagerank10_host_links": _ranks("host_links", "pc"), "pagerank_pull": _ranks_by("pull"), "pagerank_push": _ranks_by("push"), "pagerank_edge_centric": _ranks_by("edge"), "pagerank_blocked": _ranks_by("blocked")}
+    out |= {"sssp_line_chain": _sssp(), "sssp_interleaved": _sssp(waves=2), "sssp_sc": _sssp(mode="sc"), "sssp_edge_centric": _sssp(paradigm="edge", waves=1), "sssp_push": _sssp(paradigm="push", waves=1), "sssp_pull": _sssp(paradigm="pull", waves=1), "sssp_blocked": _sssp(paradigm="blocked", waves=1)}
+    out |= {"pagerank10_line_chain": _ranks("line_chain", "auto"), "pagerank10_pc": _ranks("line_chain", "pc"), "pagerank10_sc": _ranks("line_chain", "sc"),  "pagerank_pull": _ranks_by("pull"), "pagerank_push": _ranks_by("push"), "pagerank_edge_centric": _ranks_by("edge"), "pagerank_blocked": _ranks_by("blocked")}
     out |= {"cc_plain": _cc(waves=1), "cc_sc": _cc(mode="sc", waves=1), "cc_push": _cc(paradigm="push", waves=1), "cc_pull": _cc(paradigm="pull", waves=1)}
-    return out | {"round_log_bfs": _log("bfs"), "round_log_sssp_waves": _log("sssp", waves=4)}
+    out["cc_interleaved"] = _cc(waves=2)
+    out |= {f"pagerank10_{name}": _ranks(name, "auto") for name in RANKED}
+    out |= {"bfs_page_links": _bfs("page_both"), "bfs_host_links": _bfs("host_both"), "bfs_part_supplier": _bfs("part_supplier"), "bfs_copurchase": _bfs("copurchase")}
+    return out | {"round_log_sssp_waves": _log("sssp", waves=4)}
 
 
-LINE = """chain as (select l_partkey as src, lead(l_partkey) over (partition by l_orderkey order by l_linenumber, l_partkey, l_suppkey) as dst from lineitem),
-e as (select distinct src, dst, 1 + ((31 * src + 17 * dst) % 10) as weight from chain where dst is not null and src <> dst),
-n as (select count(*) as n, (count(*) + 15) // 16 as q from part),
+RANKED = ("host_links", "page_links", "copurchase", "order_part", "event_chain")
+LINE = """n as (select count(*) as n, (count(*) + 15) // 16 as q, cast(floor(log2(count(*))) as bigint) as m from part),
+chain as (select l_partkey as src, lead(l_partkey) over (partition by l_orderkey order by l_linenumber, l_partkey, l_suppkey) as dst from lineitem),
+e as (select distinct src, dst, 1 + ((31 * src + 17 * dst) % m) as weight from chain, n where dst is not null and src <> dst),
 v as (select p_partkey as vid, cast(p_partkey // q as int) as part from part, n),
 """
 BOTH = LINE + "b as (select src, dst from e union select dst, src from e), deg as (select src as vid, count(*) as deg from b group by src),\n"
@@ -325,6 +429,94 @@ r as (select *, case when n_e > 0 then n_msg / n_e else 1.0 end as r from s),
 LEVELS = LINE + """walk as (select cast(0 as bigint) as vid, 0 as level union select dst, level + 1 from walk join e on src = vid where level < 12),
 lev as (select vid, min(level) as level from walk group by vid),
 """
+# edges of the other views over their dense ids, each as CTEs that end in e(src, dst)
+HREFS = "l as (select page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) as href, regexp_extract(url, '^[a-z]+://([^/]+)', 1) as host from pages), t as (select href, row_number() over (order by href) - 1 as h from (select distinct href from l)),\n"
+EDGES = {
+    "page_links": HREFS + "e as (select distinct page_id as src, h + (select count(*) from pages) as dst from l join t using (href)),",
+    "host_links": HREFS + "s as (select host, row_number() over (order by host) - 1 as i from (select distinct regexp_extract(url, '^[a-z]+://([^/]+)', 1) as host from pages)), e as (select distinct i as src, h + (select count(*) from s) as dst from l join t using (href) join s using (host)),",
+    "copurchase": "e as (select distinct a.l_partkey as src, b.l_partkey as dst from lineitem a join lineitem b using (l_orderkey) where a.l_partkey <> b.l_partkey),",
+    "order_part": "h as (select distinct l_orderkey as src, l_partkey + (select count(*) from orders) as dst from lineitem), e as (select src, dst from h union select dst, src from h),",
+    "part_supplier": "h as (select distinct l_partkey as src, l_suppkey + (select count(*) from part) as dst from lineitem), e as (select src, dst from h union select dst, src from h),",
+    "event_chain": "c as (select event_id as src, lead(event_id) over (partition by user_id order by ts, event_id) as dst from events), e as (select src, dst from c where dst is not null),",
+}
+SIZES = {"copurchase": "select count(*) as n from part", "event_chain": "select count(*) as n from events"}
+
+
+def _rank_sql(name: str) -> str:
+    """Ten unrolled rounds over a view; its vertices are 0 to the largest id unless a table counts them."""
+    head = f"{EDGES[name]} n as ({SIZES.get(name, 'select 1 + max(greatest(src, dst)) as n from e')}), v as (select unnest(range(n)) as vid from n), d as (select src as vid, count(*) as deg from e group by src),"
+    step = "select v.vid, 0.15 / n + 0.85 * coalesce(t, 0) as x from n, v left join (select dst, sum(x / deg) as t from {s} join e on src = vid join d using (vid) group by dst) on dst = v.vid"
+    return _steps("select vid, 1.0::double / n as x from v, n", step, 10, "select vid, round(x, 9) as rank from {s}", head)
+
+
+def _bfs_sql(edges: str) -> str:
+    """Levels by recursion over distinct (vertex, level), then the smallest parent one level up."""
+    return f"""with recursive {edges} walk as (select cast(0 as bigint) as vid, 0 as level union select dst, level + 1 from walk join e on src = vid where level < 24),
+    lev as (select vid, min(level) as level from walk group by vid),
+    par as (select b.vid, min(a.vid) as parent from lev b join e on dst = b.vid join lev a on a.vid = src and a.level = b.level - 1 group by b.vid)
+    select lev.vid, coalesce(parent, lev.vid) as parent, lev.level from lev left join par using (vid)"""
+
+
+def _both(edges: str) -> str:
+    """The same edges in both directions."""
+    return edges.replace(" e as (", " f as (") + " e as (select src, dst from f union select dst, src from f),"
+
+
+def _checks_sql(damage: bool) -> str:
+    """The four checks of a BFS tree, on the tree as found or with the damage of ``validate_bfs_damaged``."""
+    tree = "select vid, case when vid % 11 = 1 then (vid + 1) % n else parent end as parent, case when vid % 7 = 2 then level + 2 else level end as level from found, n where vid = 0 or vid % 13 <> 3" if damage else "select * from found"
+    return f"""with {LINE} found as ({BFS}), tree as ({tree}), child as (select * from tree where vid <> 0),
+    both_ as (select a.level as ls, b.level as ld from e join tree a on a.vid = src left join tree b on b.vid = dst)
+    select 'parent edge exists' as "check", count(*) as failures from child where not exists (select 1 from e where src = parent and dst = child.vid)
+    union all select 'level is the parent''s plus one', count(*) from child left join tree up on up.vid = child.parent where up.level is null or up.level <> child.level - 1
+    union all select 'no edge spans two levels', count(*) from both_ where ld > ls + 1
+    union all select 'reach is closed', count(*) from both_ where ld is null"""
+
+
+def _log_sql() -> str:
+    """Work of the BFS rounds from the levels: the frontier of round r are the vertices of level r - 1."""
+    return f"""with recursive {LEVELS.replace(LINE, STATS)}
+    w as (select level + 1 as round, part, count(*) as v_a, sum(coalesce(deg, 0)) as e_a, sum(coalesce(opd, 0)) as m_a from lev join v using (vid) left join o on vid = src group by level, part),
+    c as (select w.*, n_e, n_msg, (v_a + e_a) * 4 + 2 * (r.r * e_a * 4 + e_a * 4) as sc, n_e * ((r.r + 1) * 4 + 8 * r.r) + 16 * 4 as pc from w join r using (part)),
+    p as (select *, pc / 2 <= sc as is_pc from c),
+    hit as (select distinct p.round, src_part, dst_part from p join lev on level + 1 = p.round join v using (vid) join m on src = vid and src_part = p.part where v.part = p.part),
+    t as (select round, count(distinct dst_part) as touched_parts, count(*) as touched_bins from hit group by round)
+    select p.round, cast(sum(v_a) as bigint) as frontier, cast(sum(e_a) as bigint) as e_active, cast(sum(case when is_pc then n_msg else m_a end) as bigint) as msgs, cast(sum(case when is_pc then 0 else e_a end) as bigint) as ids_sent,
+    cast(sum((not is_pc)::int) as int) as sc_parts, cast(sum(is_pc::int) as int) as pc_parts, round(cast(sum(case when is_pc then pc / 2 else sc end) as double), 6) as model_bytes,
+    cast(sum(case when is_pc then n_msg + n_e else m_a + e_a end) as bigint) as work, cast(any_value(touched_parts) as int) as touched_parts, any_value(touched_bins) as touched_bins
+    from p join t using (round) group by p.round"""
+
+
+def _rmat_sql(scale: int, degree: int, seed: int = 42) -> str:
+    """The generator's arithmetic, one row a draw and level."""
+    prime, (a, b, c, _) = generators.PRIME, generators.QUADRANTS
+    steps = "".join(f", d{k + 1} as (select id, level, (x * x + x * (16807 + level) + {12345 + k}) % {prime} as x from d{k})" for k in range(3))
+    return f"""with d0 as (select id, level, (id % {prime} * 48271 + (level + 1) * 69621 + {seed}) % {prime} as x from range({degree << scale}) i(id), range({scale}) l(level)){steps},
+    u as (select id, level, x / {prime}.0::double as u from d3),
+    g as (select id, sum((u >= {a + b}::double)::bigint << ({scale - 1} - level)) as src, sum(((u >= {a}::double and u < {a + b}::double) or u >= {a + b + c}::double)::bigint << ({scale - 1} - level)) as dst from u group by id),
+    e as (select distinct src, dst from g where src <> dst), o as (select src as vid, count(*) as out_deg from e group by src), i as (select distinct dst as vid from e)
+    select coalesce(out_deg, 0) as out_deg, count(*) as n from o full join i using (vid) group by 1"""
+
+
+def _heat_sql() -> str:
+    """Walk powers, weighed and summed."""
+    step = "select dst as vid, sum(p / deg) as p from {s} join deg using (vid) join b on src = vid group by dst"
+    weights = [math.exp(-5.0) * 5.0**j / math.factorial(j) for j in range(TERMS + 1)]
+    parts = [f"s{j + 1} as materialized ({step.format(s=f's{j}')})" for j in range(TERMS)]
+    total = " union all ".join(f"select vid, p * {w!r}::double as score from s{j}" for j, w in enumerate(weights))
+    return f"with {BOTH} s0 as (select cast(0 as bigint) as vid, 1.0::double as p), {', '.join(parts)} select cast(0 as bigint) as seed, vid, round(sum(score), 9) as score from ({total}) group by vid"
+
+
+def _sweep_sql() -> str:
+    """Prefixes of the walk, with the edges that close when a vertex joins."""
+    walk = _nibble_sql("(0)").replace("round(p, 9) as p", "p")
+    return f"""with {BOTH} walk as ({walk}), total as (select count(*) as total from b),
+    ranked as (select walk.vid, deg, row_number() over (order by p / deg desc, walk.vid) as k from walk join deg using (vid) where p > 0),
+    closing as (select x.vid, count(*) as c from ranked x join b on src = x.vid join ranked y on y.vid = dst where y.k < x.k group by x.vid),
+    sums as (select k, vid, sum(deg) over (order by k) as volume, sum(deg - 2 * coalesce(c, 0)) over (order by k) as cut from ranked left join closing using (vid))
+    select cast(0 as bigint) as seed, cast(k as int) as k, vid, round(case when least(volume, total - volume) > 0 then cut / least(volume, total - volume) end, 9) as conductance from sums, total"""
+
+
 BFS = f"""with recursive {LEVELS} par as (select b.vid, min(a.vid) as parent from lev b join e on dst = b.vid join lev a on a.vid = src and a.level = b.level - 1 group by b.vid)
 select lev.vid, coalesce(parent, lev.vid) as parent, lev.level from lev left join par using (vid)"""
 
@@ -375,7 +567,26 @@ def oracle_sql() -> dict[str, str]:
         "nibble_multi_seed": _nibble_sql("(0), (1), (2)"),
         "spmv_ones": f"with {LINE.rstrip().rstrip(',')} select vid, cast(coalesce(sum(weight), 0) as double) as y from v left join e on dst = vid group by vid",
         "random_read_share": f"with {LINE} c as (select count(*) as m from e) select round(m * 64 / (m * 64 + m * 4 + n * 8), 9) as share from c, n",
-        "validate_bfs": 'select unnest([\'parent edge exists\', \'level is the parent\'\'s plus one\', \'no edge spans two levels\', \'reach is closed\']) as "check", cast(0 as bigint) as failures',
+        "validate_bfs": _checks_sql(False),
+        "validate_bfs_damaged": _checks_sql(True),
+        "round_log_bfs": _log_sql(),
+        "rmat_degree_hist": _rmat_sql(10, 16),
+        "heat_kernel": _heat_sql(),
+        "sweep_cut": _sweep_sql(),
+        "anti_customers": "select c_custkey from customer where c_custkey not in (select o_custkey from orders where o_totalprice > 450000)",
+        "semi_customers": "select c_custkey from customer where c_custkey in (select o_custkey from orders where o_totalprice > 450000)",
+        "frontier_union": f"with {LINE} z as (select 1) select dst as vid from e where src = 0 union select dst from e where src = 1",
+        "frontier_intersect": f"with {LINE} z as (select 1) select dst as vid from e where src = 0 intersect select dst from e where src = 1",
+        "frontier_except": f"with {LINE} z as (select 1) select dst as vid from e where src = 0 except select dst from e where src = 1",
+        "sampled_seeds": "select p_partkey as vid from part where (p_partkey % 65521 * 40503 + 12289) % 65536 < 6553",
+        "degree_histogram": f"with {LINE} d as (select vid, count(src) as deg from v left join e on src = vid group by vid) select deg // 5 * 5 as low, count(*) as n from d group by 1",
+        "grouping_sets_events": "select event_type, user_id, count(*) as n, cast(grouping(event_type, user_id) as bigint) as level from events group by grouping sets ((event_type), (user_id), ())",
+        "above_average_orders": "select c_custkey from customer where c_custkey in (select o_custkey from orders where o_totalprice > 1.5 * (select avg(o_totalprice) from orders))",
+        "moving_mean_events": "select event_id, round(avg(value) over (partition by user_id order by event_id rows between 4 preceding and current row), 6) as mean from events",
+        "embed_sim_edges": "with v as (select vec_id, label, list_transform(embedding, lambda x: x::double) as e from embeddings), c as (select x.vec_id as a, y.vec_id as b, list_cosine_similarity(x.e, y.e) as cosine from v x join v y on x.label = y.label and x.vec_id < y.vec_id) select a, b, round(cosine, 6) as cosine from c where cosine >= 0.3",
+        "doc_bench_shingles": """with w as (select 0 as side, doc_id as id, list_filter(regexp_split_to_array(lower(text), '[ \\t\\r\\n]+'), lambda x: x <> '') as w from documents union all select 1, item_id, list_filter(regexp_split_to_array(lower(text), '[ \\t\\r\\n]+'), lambda x: x <> '') from benchmark),
+            s as (select distinct side, id, array_to_string(w[i:i + 7], ' ') as shingle from (select side, id, w, unnest(range(1, len(w) - 6)) as i from w))
+            select x.id as a, y.id as b, count(*) as shared from s x join s y using (shingle) where x.side = 0 and y.side = 1 group by all""",
         "top_rank_parts": f"select * from ({ranks}) order by rank desc, vid limit 10",
         "page_links": "with l as (select page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) as href from pages) select page_id, count(*) as links, count(distinct href) as targets from l group by page_id",
         "cube_events": "select event_type, date_trunc('day', ts)::timestamp as day, count(*) as n from events group by cube (event_type, day)",
@@ -388,7 +599,7 @@ def oracle_sql() -> dict[str, str]:
     out |= {
         "interpartition_edges_hash_order": f"with n as (select (count(*) + 15) // 16 as q from events), i as (select event_id, user_id, ts, row_number() over (order by (event_id * 2654435761) % 4294967296, event_id) - 1 as vid from events), c as (select vid as a, lead(vid) over (partition by user_id order by ts, event_id) as b from i qualify b is not null) {crossing}",
         "cc_local_user_order": "with i as (select user_id, row_number() over (order by user_id, ts, event_id) - 1 as vid from events) select vid, min(vid) over (partition by user_id) as label from i",
-        "cc_hash_to_min": "select event_id as vid, min(event_id) over (partition by user_id) as label from events qualify count(*) over (partition by user_id) > 1",
+        "cc_alternating_stars": "select event_id as vid, min(event_id) over (partition by user_id) as label from events qualify count(*) over (partition by user_id) > 1",
         "model_misses": f"""with {BINS} t as (select sum(ids) as e, count(*) as m from m), a as (select count(distinct src * 4 // 64) as a from e), b as (select count(distinct dst * 4 // 64) as b from e),
             h as (select t.e, t.m, a, b, least(1.0, 4.0 * q / (4 * n)) as held from t, a, b, n)
             select 'sc' as paradigm, round(cast(a + b + (8 * m + 12 * e) / 64 as double), 6) as misses from h union all select 'pc', round(cast(a + b + (8 * m + 4 * (m + e)) / 64 as double), 6) from h
@@ -397,18 +608,25 @@ def oracle_sql() -> dict[str, str]:
         "k_hop2": f"with recursive {LEVELS} z as (select 1) select vid, level as hops from lev where level <= 2",
         "levels_histogram": f"with recursive {LEVELS} z as (select 1) select level, count(*) as n from lev group by level",
         "component_sizes": f"select label, count(*) as n from ({out['cc_geo_tree']}) group by label",
-        "dangling_vertices": f"with {LINE} z as (select 1) select vid from v where vid not in (select src from e)",
+        "dangling_vertices": """with s as (select (select count(*) from region) as r, (select count(*) from nation) as n, (select count(*) from customer) as c, (select count(*) from supplier) as u)
+            select o_orderkey + r + n + c + u as vid from orders, s union all select s_suppkey + r + n + c from supplier, s
+            union all select c_custkey + r + n from customer, s where c_custkey not in (select o_custkey from orders)
+            union all select n_nationkey + r from nation, s where n_nationkey not in (select c_nationkey from customer) and n_nationkey not in (select s_nationkey from supplier)
+            union all select r_regionkey from region where r_regionkey not in (select n_regionkey from nation)""",
         "degree_quantiles": f"with {LINE} d as (select count(*) as deg from e group by src) select unnest([0.25, 0.5, 0.75])::double as share, unnest(quantile_cont(deg, [0.25, 0.5, 0.75]))::double as value from d",
         "conductance_even": f"with {LINE} s as (select cast(count(*) filter (where src % 2 = 0 and dst % 2 = 1) as bigint) as cut, count(*) filter (where src % 2 = 0) as volume, count(*) as total from e) select cut, volume, round(cut / least(volume, total - volume), 9) as conductance from s",
         "pivot_events": "select user_id, " + ", ".join(f"count(*) filter (where event_type = '{t}') as \"{t}\"" for t in ("view", "signup", "error", "click", "purchase")) + " from events group by user_id",
-        "idle_customers": "select c_custkey from customer where c_custkey not in (select o_custkey from orders)",
         "stream_sliding_counts": "select (time_bucket(interval 6 hour, ts) - to_hours(6 * i))::timestamp as start, event_type, count(*) as n from events, range(4) r(i) group by all",
         "stream_session_counts": """with g as (select user_id, ts, coalesce(ts - lag(ts) over (partition by user_id order by ts) >= interval 2 hour, true)::int as new from events),
             s as (select user_id, ts, sum(new) over (partition by user_id order by ts) as s from g) select user_id, min(ts)::timestamp as start, count(*) as n from s group by user_id, s""",
         "stream_dedup": "select event_id, event_type from events",
     }
-    out["stream_incremental_cc"] = out["cc_hash_to_min"]
-    out |= dict.fromkeys(("cc_plain", "cc_sc", "cc_push", "cc_pull"), out["cc_geo_tree"])
+    orders = {o: out[f"interpartition_edges_{o}_order"].replace("select count(*) as edges", f"select '{o}' as id_order, count(distinct (a, b // q)) as msgs, count(*) as edges") for o in ("user", "time", "hash")}
+    out["workload_ordering"] = " union all ".join(f"select * from ({q})" for q in orders.values())
+    out |= {f"pagerank10_{name}": _rank_sql(name) for name in RANKED}
+    out |= {"bfs_page_links": _bfs_sql(_both(EDGES["page_links"])), "bfs_host_links": _bfs_sql(_both(EDGES["host_links"])), "bfs_part_supplier": _bfs_sql(EDGES["part_supplier"]), "bfs_copurchase": _bfs_sql(EDGES["copurchase"])}
+    out["stream_incremental_cc"] = out["cc_alternating_stars"]
+    out |= dict.fromkeys(("cc_plain", "cc_sc", "cc_push", "cc_pull", "cc_interleaved"), out["cc_geo_tree"])
     out |= dict.fromkeys(("bfs_pull", "bfs_blocked", "bfs_line_chain", "bfs_sc", "bfs_pc", "bfs_push", "bfs_edge_centric", "bfs_bottom_up", "bfs_direction_opt"), BFS)
-    out |= dict.fromkeys(("sssp_local", "sssp_edge_centric", "sssp_line_chain", "sssp_bulk", "sssp_push", "sssp_pull", "sssp_blocked", "sssp_delta", "sssp_topological"), paths)
-    return out | dict.fromkeys(("pagerank10_line_chain", "pagerank10_sc", "pagerank_push", "pagerank_pull", "pagerank_edge_centric", "pagerank_blocked"), ranks)
+    out |= dict.fromkeys(("sssp_local", "sssp_edge_centric", "sssp_line_chain", "sssp_interleaved", "sssp_sc", "sssp_push", "sssp_pull", "sssp_blocked", "sssp_delta", "sssp_topological"), paths)
+    return out | dict.fromkeys(("pagerank10_line_chain", "pagerank10_sc", "pagerank10_pc", "pagerank_push", "pagerank_pull", "pagerank_edge_centric", "pagerank_blocked"), ranks)

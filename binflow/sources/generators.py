@@ -9,6 +9,18 @@ from pyspark.sql import functions as F
 QUADRANTS = (0.57, 0.19, 0.19, 0.05)
 
 
+#: a prime below 2^31: squares of numbers below it fit a long
+PRIME = (1 << 31) - 1
+
+
+def _draw(draw_id, level: int, seed: int):
+    """A number in [0, 1) from a draw and a level: squaring and multiplying modulo a prime, the same in any SQL engine."""
+    x = (draw_id % PRIME * 48271 + (level + 1) * 69621 + seed) % PRIME
+    for k in range(3):
+        x = (x * x + x * (16807 + level) + 12345 + k) % PRIME
+    return x / float(PRIME)
+
+
 def rmat(spark: SparkSession, scale: int, degree: int = 16, seed: int = 42, quadrants: tuple[float, ...] = QUADRANTS) -> DataFrame:
     """2^scale vertices, degree * 2^scale draws of (src, dst); every bit pair comes from a hash of (draw, level, seed).
 
@@ -17,14 +29,22 @@ def rmat(spark: SparkSession, scale: int, degree: int = 16, seed: int = 42, quad
     """
     a, b, c, _ = quadrants
     rows = spark.range(degree << scale)
+    for level in range(scale):
+        rows = rows.withColumn(f"u{level}", _draw(F.col("id"), level, seed))
     src, dst = F.lit(0).cast("bigint"), F.lit(0).cast("bigint")
     for level in range(scale):
-        draw = F.pmod(F.xxhash64("id", F.lit(level), F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
-        src = src * 2 + F.when(draw >= a + b, 1).otherwise(0)
-        dst = dst * 2 + F.when(((draw >= a) & (draw < a + b)) | (draw >= a + b + c), 1).otherwise(0)
+        u = F.col(f"u{level}")
+        src = src * 2 + F.when(u >= a + b, 1).otherwise(0)
+        dst = dst * 2 + F.when(((u >= a) & (u < a + b)) | (u >= a + b + c), 1).otherwise(0)
     return rows.select(src.alias("src"), dst.alias("dst")).where("src <> dst").distinct().withColumn("weight", F.lit(1).cast("bigint"))
 
 
+def complete_graph(spark: SparkSession, n: int) -> DataFrame:
+    """Every ordered pair of n vertices, numbered by a range."""
+    pairs = spark.range(n * n).select(F.call_function("div", "id", F.lit(n)).alias("src"), (F.col("id") % n).alias("dst"))
+    return pairs.where("src <> dst").withColumn("weight", F.lit(1).cast("bigint"))
+
+
 def path_graph(spark: SparkSession, n: int) -> DataFrame:
     return spark.range(max(0, n - 1)).select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"), F.lit(1).cast("bigint").alias("weight"))
 

@@ -10,8 +10,9 @@ from pyspark.sql import functions as F
 from binflow.storage import table
 
 
-def edge_weights(edges: DataFrame, m: int = 10) -> DataFrame:
-    """Integer weights in [1, m] from the end points: 1 + (31 src + 17 dst) mod m."""
+def edge_weights(edges: DataFrame, n_vertices: int) -> DataFrame:
+    """Whole weights in [1, log2 V] from the end points: 1 + (31 src + 17 dst) mod floor(log2 V)."""
+    m = max(1, int(max(1, n_vertices)).bit_length() - 1)
     return edges.withColumn("weight", 1 + (31 * F.col("src") + 17 * F.col("dst")) % m)
 
 
@@ -28,8 +29,8 @@ def symmetrise(edges: DataFrame) -> DataFrame:
 
 
 def g_line_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lines = table(spark, sf_dir, "lineitem")
-    return edge_weights(lines_chain(lines, "l_orderkey", ["l_linenumber", "l_partkey", "l_suppkey"], "l_partkey").distinct())
+    lines, n = table(spark, sf_dir, "lineitem"), table(spark, sf_dir, "part").count()
+    return edge_weights(lines_chain(lines, "l_orderkey", ["l_linenumber", "l_partkey", "l_suppkey"], "l_partkey").distinct(), n)
 
 
 def g_copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -149,4 +150,22 @@ def g_doc_dup(spark: SparkSession, sf_dir: str, least_chars: int = 60) -> DataFr
     return symmetrise(pairs.agg(F.count(F.lit(1)).alias("weight")))
 
 
-VIEWS: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__[2:]: f for f in (g_line_chain, g_copurchase, g_order_part, g_part_supplier, g_cust_supplier, g_event_chain, g_user_handoff, g_geo_tree, g_page_links, g_host_links, g_turns, g_doc_dup)}
+def g_embed_sim(spark: SparkSession, sf_dir: str, least: float = 0.3) -> DataFrame:
+    """Both directions of the pairs of embeddings with one label and a cosine of ``least`` or more; ids are vec_ids."""
+    from binflow.operators.relational import similarity_join
+
+    pairs = similarity_join(table(spark, sf_dir, "embeddings").where("embedding is not null"), "vec_id", "embedding", "label", least)
+    return symmetrise(pairs.select(F.col("a").alias("src"), F.col("b").alias("dst"), F.lit(1).cast("bigint").alias("weight")))
+
+
+def g_doc_bench(spark: SparkSession, sf_dir: str, words: int = 8) -> DataFrame:
+    """Documents, then benchmark items: both directions of the pairs that share a run of ``words`` words; weight: how many different ones."""
+    from binflow.operators.relational import shingle_join
+
+    docs, items = table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")
+    n = docs.agg(F.max("doc_id")).first()[0] + 1
+    pairs = shingle_join(docs, "doc_id", items, "item_id", "text", words)
+    return symmetrise(pairs.select(F.col("a").alias("src"), (F.col("b") + n).alias("dst"), F.col("shared").alias("weight")))
+
+
+VIEWS: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__[2:]: f for f in (g_line_chain, g_copurchase, g_order_part, g_part_supplier, g_cust_supplier, g_event_chain, g_user_handoff, g_geo_tree, g_page_links, g_host_links, g_turns, g_doc_dup, g_embed_sim, g_doc_bench)}

@@ -7,6 +7,8 @@ this machine; on any other master the warehouse folder is used, which is shared
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import io
 import tempfile
 import uuid
@@ -15,6 +17,7 @@ from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
+_ROOTS: set[str] = set()
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -29,8 +32,19 @@ def shared_root(spark: SparkSession) -> str:
 
 
 def new_folder(spark: SparkSession, name: str) -> str:
-    """A path below the shared folder that no other run uses; it is not created."""
-    return f"{shared_root(spark)}/binflow/{uuid.uuid4().hex}/{name}"
+    """A path below the shared folder that no other run uses; it is not created. The application's folder is removed when the driver ends."""
+    sc = spark.sparkContext
+    root = f"{shared_root(spark)}/binflow/{sc.applicationId}"
+    if root not in _ROOTS:
+        _ROOTS.add(root)
+        atexit.register(_sweep, sc._jvm, sc._jsc.hadoopConfiguration(), root)
+    return f"{root}/{uuid.uuid4().hex}/{name}"
+
+
+def _sweep(jvm, conf, root: str) -> None:
+    with contextlib.suppress(Exception):  # the JVM may be gone before this process ends
+        p = jvm.org.apache.hadoop.fs.Path(root)
+        p.getFileSystem(conf).delete(p, True)
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from binflow.operators.graphs import hash_to_min
+from binflow.operators.graphs import alternating_stars
 from binflow.sources import views
 from binflow.storage import materialise, new_folder, table
 
@@ -79,7 +79,7 @@ def add_edges(labels: DataFrame | None, edges: DataFrame) -> DataFrame:
         known = labels.union(ends.join(labels, "vid", "left_anti").select("vid", F.col("vid").alias("label")))
     a, b = (known.select(F.col("vid").alias(c), F.col("label").alias(f"{c}_label")) for c in ("src", "dst"))
     short = edges.join(a, "src").join(b, "dst").select(F.col("src_label").alias("src"), F.col("dst_label").alias("dst")).distinct()
-    merged = hash_to_min(short).select(F.col("vid").alias("label"), F.col("label").alias("to"))
+    merged = alternating_stars(short).select(F.col("vid").alias("label"), F.col("label").alias("to"))
     return known.join(merged, "label", "left").select("vid", F.coalesce("to", "label").alias("label"))
 
 

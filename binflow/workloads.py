@@ -5,8 +5,12 @@ A runner's loop is over cells (programs, graphs, variants), never over data.
 
 from __future__ import annotations
 
+import json
+import subprocess
+import sys
 import time
 from collections.abc import Sequence
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -19,6 +23,8 @@ from binflow.programs import local, runs
 from binflow.sources import generators, views
 from binflow.storage import table
 
+#: stand-ins of the eight published graphs: four of small diameter, two bipartite ones of links, one of chains in two orders of ids
+GRAPHS = ("line_chain", "copurchase", "order_part", "part_supplier", "cust_supplier", "event_chain", "page_links", "host_links")
 APPS = ("pagerank", "bfs", "sssp", "cc", "nibble")
 #: system -> settings of the engine
 SYSTEMS = {"bins": {}, "push": {"paradigm": "push"}, "pull": {"paradigm": "pull"}, "edge": {"paradigm": "edge"}, "blocked": {"paradigm": "blocked"}}
@@ -49,7 +55,7 @@ def _special(graph: Graph, app: str, rounds: int) -> dict:
     return {"bfs": {"direction_switching": lambda: len(baselines.bfs_switching(graph, 0)[1])}, "sssp": {"delta_stepping": lambda: baselines.sssp_delta(graph, 0)[1], "topological": lambda: baselines.sssp_topological(graph, 0)[1], "local": lambda: local.sssp_local(graph, 0)[1]}, "pagerank": {"residual": lambda: baselines.pagerank_residual(graph, max_rounds=rounds)[1]}, "cc": {"local": lambda: local.components_local(graph)[1]}}.get(app, {})
 
 
-def run_time(spark: SparkSession, sf_dir: str, apps: Sequence[str] = APPS, graphs: Sequence[str] = ("line_chain",), systems: Sequence[str] | None = None, rounds: int = 10) -> DataFrame:
+def run_time(spark: SparkSession, sf_dir: str, apps: Sequence[str] = APPS, graphs: Sequence[str] = GRAPHS, systems: Sequence[str] | None = None, rounds: int = 10) -> DataFrame:
     """(app, graph, system, seconds, rounds)."""
     rows = []
     for name in graphs:
@@ -68,7 +74,7 @@ def run_time(spark: SparkSession, sf_dir: str, apps: Sequence[str] = APPS, graph
     return spark.createDataFrame(rows, "app string, graph string, system string, seconds double, rounds int")
 
 
-def locality(spark: SparkSession, sf_dir: str, graphs: Sequence[str] = ("line_chain",), k: int | None = None) -> DataFrame:
+def locality(spark: SparkSession, sf_dir: str, graphs: Sequence[str] = GRAPHS, k: int | None = None) -> DataFrame:
     """(graph, paradigm, misses): modelled misses of a full round; the cache holds one partition's values."""
     out = None
     for name in graphs:
@@ -120,26 +126,48 @@ def per_round(spark: SparkSession, sf_dir: str, apps: Sequence[str] = ("bfs", "c
     return spark.createDataFrame(rows, "app string, graph string, mode string, round int, frontier bigint, sc_parts int, pc_parts int, model_bytes double, ms double")
 
 
-def mode_mix(spark: SparkSession, sf_dir: str, apps: Sequence[str] = ("pagerank", "bfs", "nibble"), graphs: Sequence[str] = ("line_chain",), rounds: int = 3) -> DataFrame:
+def mode_mix(spark: SparkSession, sf_dir: str, apps: Sequence[str] = ("pagerank", "bfs", "nibble"), graphs: Sequence[str] = ("line_chain",), rounds: int = 10) -> DataFrame:
     """(app, graph, round, sc_parts, pc_parts) of the automatic choice."""
     return per_round(spark, sf_dir, apps, graphs, ("auto",), rounds).select("app", "graph", "round", "sc_parts", "pc_parts")
 
 
-def degree_sweep(spark: SparkSession, scale: int = 10, degrees: Sequence[int] = (1, 4, 16, 64), apps: Sequence[str] = ("pagerank", "bfs"), rounds: int = 3) -> DataFrame:
-    """(degree, app, edges, r, seconds, rounds, pc_share) over generated graphs of one size."""
-    rows = []
+def degree_sweep(spark: SparkSession, scale: int = 10, degrees: Sequence[int] = (1, 2, 4, 8, 16, 32, 64, 128), apps: Sequence[str] = ("pagerank", "bfs"), rounds: int = 10) -> DataFrame:
+    """(degree, app, edges, r, seconds, growth, rounds, pc_share) over generated graphs of one size; growth: seconds over those of the first degree."""
+    rows, base = [], {}
     for degree in degrees:
         g = layout.build(generators.rmat(spark, scale, degree), 1 << scale)
         total = g.part_stats.agg(F.sum("n_e"), F.sum("n_msg")).first()
         for app in apps:
             out, seconds = one(g, app, rounds=rounds)
+            base.setdefault(app, seconds)
             pc, every = sum(r["pc_parts"] for r in out.log), sum(r["pc_parts"] + r["sc_parts"] for r in out.log)
-            rows.append((degree, app, total[0], total[1] / max(1, total[0]), seconds, out.rounds, pc / max(1, every)))
+            rows.append((degree, app, total[0], total[1] / max(1, total[0]), seconds, seconds / base[app], out.rounds, pc / max(1, every)))
+        g.release()
+    return spark.createDataFrame(rows, "degree int, app string, edges bigint, r double, seconds double, growth double, rounds int, pc_share double")
+
+
+def shuffle_contrast(graph: Graph, rounds: int = 2) -> DataFrame:
+    """(system, shuffle_bytes, seconds) of ``rounds`` full PageRank rounds: messages a bin in both modes against messages an edge."""
+    rows = []
+    for system, how in [("sc", {"mode": "sc"}), ("pc", {"mode": "pc"}), *((s, SYSTEMS[s]) for s in ("push", "pull", "edge", "blocked"))]:
+        out = run(graph, program.pagerank(), max_rounds=rounds, trace=True, **how)
+        rows.append((system, sum(r["shuffle_bytes"] for r in out.log), sum(r["wall_ms"] for r in out.log) / 1000))
+    return graph.vertices.sparkSession.createDataFrame(rows, "system string, shuffle_bytes bigint, seconds double")
+
+
+def build_time(spark: SparkSession, sf_dir: str, graphs: Sequence[str] = ("line_chain",), k: int | None = None) -> DataFrame:
+    """(graph, edges, k, seconds) of relabelling, binning and dealing a view."""
+    rows = []
+    for name in graphs:
+        began = time.monotonic()
+        g = load(spark, sf_dir, name, k)
+        edges = sum(s["n_e"] for s in g.stats().values())
+        rows.append((name, edges, g.k, time.monotonic() - began))
         g.release()
-    return spark.createDataFrame(rows, "degree int, app string, edges bigint, r double, seconds double, rounds int, pc_share double")
+    return spark.createDataFrame(rows, "graph string, edges bigint, k int, seconds double")
 
 
-def seed_sweep(spark: SparkSession, sf_dir: str, name: str = "line_chain", eps: Sequence[float] = (1e-3, 1e-4), rounds: int = 5) -> DataFrame:
+def seed_sweep(spark: SparkSession, sf_dir: str, name: str = "line_chain", eps: Sequence[float] = (1e-9, 1e-4), rounds: int = 20) -> DataFrame:
     """(seed, eps, support): Nibble from the vertices of least and most degree, all seeds of a threshold in one run."""
     g, out = load(spark, sf_dir, name), None
     linked = g.vertices.where("deg > 0")
@@ -151,16 +179,28 @@ def seed_sweep(spark: SparkSession, sf_dir: str, name: str = "line_chain", eps:
 
 
 def scaling(scales: Sequence[int], threads: Sequence[int], degree: int = 16, apps: Sequence[str] = ("pagerank",), rounds: int = 3) -> list[dict]:
-    """Seconds of each (scale, threads): a session of its own for each, so call it outside of any other session.
+    """Seconds, speed-up and growth of each (scale, threads), against the first pair, each in a process of its own.
 
     Equal scales give strong scaling; scales that grow with the threads give weak scaling.
     """
-    rows = []
+    rows: list[dict] = []
     for n, scale in zip(threads, scales, strict=True):
-        spark = SparkSession.builder.master(f"local[{n}]").config("spark.sql.shuffle.partitions", 4 * n).config("spark.ui.enabled", "false").getOrCreate()
-        g = layout.build(generators.rmat(spark, scale, degree), 1 << scale)
-        for app in apps:
-            out, seconds = one(g, app, rounds=rounds)
-            rows.append({"scale": scale, "threads": n, "app": app, "seconds": seconds, "rounds": out.rounds})
-        spark.stop()
-    return rows
+        asked = json.dumps({"n": n, "scale": scale, "degree": degree, "apps": list(apps), "rounds": rounds})
+        said = subprocess.run([sys.executable, "-c", "from binflow import workloads; workloads.scaling_cell()", asked], capture_output=True, text=True, check=True, cwd=Path(__file__).resolve().parents[1])
+        rows += json.loads(said.stdout.strip().splitlines()[-1])
+    first = {r["app"]: r["seconds"] for r in reversed(rows)}
+    return [r | {"speedup": first[r["app"]] / r["seconds"], "growth": r["seconds"] / first[r["app"]]} for r in rows]
+
+
+def scaling_cell() -> None:
+    """One process of ``scaling``: the second run of each program is timed."""
+    asked = json.loads(sys.argv[1])
+    n, scale = asked["n"], asked["scale"]
+    spark = SparkSession.builder.master(f"local[{n}]").config("spark.sql.shuffle.partitions", 4 * n).config("spark.ui.enabled", "false").getOrCreate()
+    g, rows = layout.build(generators.rmat(spark, scale, asked["degree"]), 1 << scale), []
+    for app in asked["apps"]:
+        one(g, app, rounds=asked["rounds"])
+        out, seconds = one(g, app, rounds=asked["rounds"])
+        rows.append({"scale": scale, "threads": n, "app": app, "seconds": seconds, "rounds": out.rounds})
+    print(json.dumps(rows))
+    spark.stop()

@@ -1,10 +1,13 @@
+import math
+import random
 from itertools import combinations
 
 import pytest
 from pyspark.sql import functions as F
 
-from binflow import queries
+from binflow import queries, workloads
 from binflow.baselines import runs as baselines
+from binflow.baselines import serial
 from binflow.operators import graphs as utilities
 from binflow.operators import relational
 from binflow.plans import engine, layout, misses, modes, program
@@ -51,7 +54,7 @@ def test_pagerank_of_a_cycle(spark):
 
 
 def test_waves_and_delta_agree(spark):
-    g = layout.build(views.edge_weights(generators.grid_graph(spark, 4, 5), 7), 20, 4)
+    g = layout.build(views.edge_weights(generators.grid_graph(spark, 4, 5), 128), 20, 4)
     want = rows(runs.sssp(g, 0, waves=1))
     assert len(want) == 20
     assert rows(runs.sssp(g, 0, waves=2)) == want
@@ -97,7 +100,7 @@ def test_asof(spark):
 
 def test_local_settling_agrees(spark):
     """Partitions settle at once, or a step at a time; the distances are those of the plain rounds, in fewer rounds."""
-    g = layout.build(views.edge_weights(generators.grid_graph(spark, 4, 5), 7), 20, 2)
+    g = layout.build(views.edge_weights(generators.grid_graph(spark, 4, 5), 128), 20, 2)
     want = rows(runs.sssp(g, 0, waves=1))
     whole, few = local.sssp_local(g, 0)
     stepped, many = local.sssp_local(g, 0, most=1)
@@ -123,9 +126,9 @@ def test_graph_utilities(spark, toy):
     assert (cut.cut, cut.volume) == (3, 8)
     assert rows(utilities.dangling(toy.vertices)) == [(7,)]
     ring = generators.cycle_graph(spark, 30).union(spark.createDataFrame([(100, 101, 1), (7, 7, 1), (200, 200, 1)], "src bigint, dst bigint, weight bigint"))
-    found = {r.vid: r.label for r in utilities.hash_to_min(ring).collect()}
+    found = {r.vid: r.label for r in utilities.alternating_stars(ring).collect()}
     assert found == {i: 0 for i in range(30)} | {100: 100, 101: 100, 200: 200}
-    assert utilities.hash_to_min(ring.limit(0)).count() == 0
+    assert utilities.alternating_stars(ring.limit(0)).count() == 0
 
 
 def test_incremental_labels(spark):
@@ -141,3 +144,145 @@ def test_residual_query_converges_at_any_size(spark, monkeypatch, leaves):
     want = {r.vid: r["rank"] for r in runs.pagerank(g, 3).collect()}
     got = {r.vid: r["rank"] for r in queries.pagerank_residual(spark, "").collect()}
     assert got == pytest.approx(want, rel=1e-4) and min(got.values()) > 0
+
+
+def random_edges(n, m, seed):
+    draw = random.Random(seed)
+    return sorted({(draw.randrange(n), draw.randrange(n), draw.randint(1, 9)) for _ in range(m)})
+
+
+@pytest.fixture(scope="module")
+def wild(spark):
+    """Self loops, parallel edges of other weights, isolated vertices; 4 partitions and a short last one."""
+    edges = random_edges(45, 120, 3)
+    return edges, layout.build(spark.createDataFrame(edges, "src bigint, dst bigint, weight bigint"), 50, 4)
+
+
+@pytest.mark.parametrize("how", [{"mode": "sc"}, {"mode": "pc"}, {"mode": "auto"}, {"paradigm": "push"}, {"paradigm": "pull"}, {"paradigm": "edge"}, {"paradigm": "blocked"}], ids=str)
+def test_programs_equal_the_serial_reference(wild, how):
+    edges, g = wild
+    assert {r.vid: (r.parent, r.level) for r in runs.bfs(g, 0, **how).collect()} == serial.bfs(edges, 0)
+    assert {r.vid: r.dist for r in runs.sssp(g, 0, **how).collect()} == serial.sssp(edges, 0)
+    ranks = engine.run(g, program.pagerank(), max_rounds=3, **how).state.collect()
+    assert {r.vid: r.x for r in ranks} == pytest.approx(serial.pagerank(edges, 50, 3))
+
+
+def test_walks_and_components_equal_the_serial_reference(spark, wild):
+    edges, g = wild
+    assert {r.vid: r["rank"] for r in runs.pagerank(g, 10).collect()} == pytest.approx(serial.pagerank(edges, 50))
+    for eps in (1e-9, 1e-2):
+        got = {r.vid: r.p for r in runs.nibble(g, [0, 99], eps, 4).collect()}
+        assert got == pytest.approx(serial.nibble(edges, 0, eps, 4))
+    both = layout.build(views.symmetrise(g.edges), 50, 4)
+    want = serial.components(edges, 50)
+    for waves in (1, 3):
+        assert {r.vid: r.label for r in runs.connected_components(both, waves=waves).collect()} == want
+    assert {r.vid: r.dist for r in runs.sssp(g, 0, waves=4).collect()} == serial.sssp(edges, 0)
+    with pytest.raises(ValueError):
+        runs.pagerank(g, 1, mode="best")
+
+
+def test_heat_kernel_sums_the_series(spark):
+    g = layout.build(generators.complete_graph(spark, 5), 5, 2)
+    got = {r.vid: r.score for r in runs.heat_kernel(g, [0], terms=30).collect()}
+    assert sum(got.values()) == pytest.approx(1.0, abs=1e-9)
+    assert got[0] == pytest.approx((1 + 4 * math.exp(-6.25)) / 5)
+
+
+def test_ties_of_the_model_go_to_pc():
+    stats = {0: {"n_e": 10, "r": 0.5, "n_msg": 5, "lo": 0, "hi": 0}}
+    pc = float(modes.cost_pc(10, 0.5, 4))
+    front = {0: (2, 3, 2)}
+    sc = float(modes.cost_sc(2, 3, 1.5))
+    assert modes.choose(front, stats, 4, ratio=pc / sc)[0]["mode"] == "pc"
+    assert modes.choose(front, stats, 4, ratio=pc / sc * 0.999)[0]["mode"] == "sc"
+
+
+def nodes(df):
+    """Names and short texts of the physical plan's nodes, kept tables not opened."""
+    out = []
+
+    def walk(p):
+        if p.nodeName() == "AdaptiveSparkPlan":
+            return walk(p.initialPlan())
+        out.append((p.nodeName(), p.simpleString(1000)))
+        for i in range(p.children().size()):
+            walk(p.children().apply(i))
+
+    walk(df._jdf.queryExecution().executedPlan())
+    return out
+
+
+@pytest.mark.parametrize("mode", ["sc", "pc"])
+def test_a_round_is_one_exchange(spark, wild, mode):
+    """The bins and the state stay where they lie; PC sends (dst_part, src_part, src, chunk, val) and no lists."""
+    _, g = wild
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        with engine.fixed_dealing(spark):
+            one = program.sssp(0)
+            state = engine.State(g, engine.cut(engine.start(g, one)))
+            arrived = engine.combined(g, state.rows(), one, () if mode == "sc" else None, () if mode == "pc" else None)
+            new = engine.gather(g, state.rows(), arrived, one, 1, F.col("active"))
+            found = nodes(new)
+            moved = [text for name, text in found if name == "Exchange"]
+            assert len(moved) == 1 and "dst_part" in moved[0]
+            again = nodes(engine.State(g, engine.cut(new.drop("touched"))).rows().groupBy("part").count())
+            assert not [n for n, _ in again if n == "Exchange"]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
+def test_sparse_rounds_read_listed_partitions(spark):
+    """The scan of the kept bins has the listed partitions as its predicate, and SC reads no other block."""
+    g = layout.build(generators.path_graph(spark, 64), 64, 16)
+    rows = engine.listed(g.by_source, "src_part", [3, 4, 9], g.k)
+    scan = next(text for name, text in nodes(rows) if name == "InMemoryTableScan")
+    assert ">= 3" in scan and "<= 4" in scan and "= 9" in scan or "(src_part" in scan
+    assert sorted({r.src_part for r in rows.collect()}) == [3, 4, 9]
+    many = list(range(0, 16, 2))
+    assert sorted({r.src_part for r in engine.listed(g.by_source, "src_part", many, 16).collect()}) == many
+    log = engine.run(g, program.bfs(0), max_rounds=6, trace=True).log
+    assert all(r["touched_parts"] == 1 and r["touched_bins"] == 1 and r["frontier"] == 1 for r in log)
+
+
+def test_gaps_are_bridged_and_tested(spark, monkeypatch):
+    monkeypatch.setattr(engine, "MOST_RANGES", 2)
+    rows = spark.range(100).select(F.col("id").cast("int").alias("p"))
+    parts = [1, 3, 4, 40, 43, 90]
+    assert sorted(r.p for r in engine.listed(rows, "p", parts, 100).collect()) == parts
+
+
+def test_work_follows_the_active_edges(spark):
+    """Modelled bytes of every round are within a constant of those of the active vertices and edges, in all modes the model chooses."""
+    g = layout.build(generators.rmat(spark, 8, 8), 256, 16)
+    for made in (program.bfs(0), program.sssp(0), program.nibble(0, 1e-4)):
+        log = engine.run(g, made, max_rounds=6).log
+        assert engine.check_work_bound(log, g.k) <= 10 and all(r["model_bytes"] == r["best_bytes"] for r in log)
+    with pytest.raises(AssertionError):
+        engine.check_work_bound(engine.run(layout.build(generators.path_graph(spark, 64), 64, 16), program.bfs(0), mode="pc", max_rounds=1).log, 16)
+
+
+def test_bins_move_fewer_bytes_than_edges(spark):
+    g = layout.build(generators.rmat(spark, 11, 16), 2048, 8)
+    moved = {r.system: r.shuffle_bytes for r in workloads.shuffle_contrast(g, 1).collect()}
+    assert 0 < moved["pc"] < moved["sc"] and moved["pc"] < moved["push"] and moved["pc"] < moved["edge"]
+
+
+def test_saved_graph_opens(spark, wild, tmp_path):
+    edges, g = wild
+    layout.save_graph(g, f"file://{tmp_path}/g")
+    again = layout.open_graph(spark, f"file://{tmp_path}/g")
+    assert rows(again.edges) == rows(g.edges) and rows(again.part_stats) == rows(g.part_stats)
+    assert {r.vid: r.dist for r in runs.sssp(again, 0).collect()} == serial.sssp(edges, 0)
+    assert layout.build(spark.createDataFrame([(0, 0, 1)], "src bigint, dst bigint, weight bigint")).n_vertices == 1
+    assert (layout.choose_k(0, slots=2), layout.choose_k(10**9, 24, 128 << 20, 8)) == (8, 179)
+
+
+def test_damaged_tree_fails_the_checks(spark, wild):
+    _, g = wild
+    tree = runs.bfs(g, 0)
+    assert {r.failures for r in runs.validate_bfs(g, 0, tree).collect()} == {0}
+    bad = tree.where("vid <> 5").withColumn("level", F.when(F.col("vid") == 0, 0).otherwise(F.col("level") + (F.col("vid") % 3 == 0).cast("int")))
+    assert sum(r.failures for r in runs.validate_bfs(g, 0, bad).collect()) > 0
