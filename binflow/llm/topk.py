@@ -16,6 +16,8 @@ SCALE = 256
 #: queries that are broadcast at once, rows of a norm bucket, longest vectors that give the first thresholds
 QUERY_BLOCK, BUCKET, SEED_ROWS = 8192, 1024, 4096
 QUERIES_AT_ONCE = 512
+#: whole numbers below this are doubles
+EXACT = 2.0**53
 #: coordinate pruning is chosen where it leaves less than this share of a bucket
 FEW = 0.1
 
@@ -31,7 +33,7 @@ class Search:
         self.query_ids, self.queries, self.k = query_ids, queries, k
         self.norms = np.linalg.norm(queries, axis=1)
         self.least = np.full(len(queries), -np.inf)
-        self.found = [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0)]
+        self.found = [np.empty(0, np.int64) for _ in range(3)]
 
     def reduce(self) -> None:
         """Keep the k best of each query, ties to the smaller id, and raise the thresholds."""
@@ -41,7 +43,8 @@ class Search:
         first = np.r_[0, np.flatnonzero(np.diff(q)) + 1] if len(q) else np.empty(0, np.int64)
         rank = np.arange(len(q)) - np.repeat(first, np.diff(np.r_[first, len(q)]))
         last = rank == self.k - 1
-        self.least[q[last]] = np.maximum(self.least[q[last]], score[last])
+        # a double below the score, where the score is no double itself
+        self.least[q[last]] = np.maximum(self.least[q[last]], np.where(np.abs(score[last]) < EXACT, score[last], score[last] - np.abs(score[last]) * 1e-15))
         self.found = [v[rank < self.k] for v in (q, ids, score)]
 
     def _keep(self, q: np.ndarray, ids: np.ndarray, score: np.ndarray) -> None:
@@ -51,8 +54,8 @@ class Search:
     def scan(self, ids: np.ndarray, x: np.ndarray) -> None:
         """Compare candidates, longest first, bucket by bucket."""
         norms = np.linalg.norm(x, axis=1)
-        if len(norms) and len(self.norms) and float(norms.max()) * float(self.norms.max()) >= 2.0**53:
-            raise OverflowError("scores of 2^53 and more are not exact in doubles")
+        if len(norms) and len(self.norms) and float(norms.max()) * float(self.norms.max()) >= 2.0**63:
+            raise OverflowError("an inner product may not fit a long")
         order = np.argsort(-norms, kind="stable")
         for at in range(0, len(order), BUCKET):
             rows = order[at : at + BUCKET]
@@ -62,6 +65,13 @@ class Search:
                 self.reduce()
         self.reduce()
 
+    def _exact(self, q: np.ndarray, x: np.ndarray, pairs: bool) -> np.ndarray:
+        """Inner products of queries with rows, of each pair or of all; in whole numbers where doubles would round (what wraps on the way comes back)."""
+        a, how = self.queries[q], "ij,ij->i" if pairs else "ij,kj->ik"
+        if len(x) and float(np.abs(a).max(initial=0)) * float(np.abs(x).max(initial=0)) * x.shape[1] >= EXACT:
+            return np.einsum(how, a.astype(np.int64), x.astype(np.int64))
+        return (np.einsum(how, a, x) if pairs else a @ x.T).astype(np.int64)
+
     def _bucket(self, ids: np.ndarray, x: np.ndarray, norms: np.ndarray, q: np.ndarray) -> None:
         """``norms`` falls. The local threshold of a query is the cosine that the longest row here would need."""
         scale = self.norms[q] * norms[0]
@@ -99,11 +109,11 @@ class Search:
                 for f, by in sorted_rows.items():
                     of = focus[who] == f
                     rows[of] = by[at[of]]
-                score = np.einsum("ij,ij->i", self.queries[q[who]], x[rows])
+                score = self._exact(q[who], x[rows], True)
                 good = score >= self.least[q[who]]
                 self._keep(q[who[good]], ids[rows[good]], score[good])
                 return
-        score = self.queries[q] @ x[:longest].T
+        score = self._exact(q, x[:longest], False)
         who, row = np.nonzero(score >= self.least[q][:, None])
         self._keep(q[who], ids[row], score[who, row])
 
@@ -114,10 +124,14 @@ def top_k(vectors: DataFrame, is_query, k: int = 5, id_col: str = "vec_id", vect
     Components become floor(scale * x). Queries (rows for which the column ``is_query`` holds)
     are broadcast in blocks of about QUERY_BLOCK; for each block all candidates are read once,
     nothing else moves. A bounded number of the longest vectors gives every query its first
-    threshold. Candidates are grouped by length; for each bucket and query the cosine needed
-    by the bucket's longest row decides: above 1 the bucket is skipped, else it is cut by
-    length or by the feasible range of the query's largest coordinate, and what is left is
-    verified. Each task keeps k rows per query; a window over those gives the result.
+    threshold. The table is dealt and sorted by length once, so that every bucket holds vectors
+    of similar length wherever they came from; for each bucket and query the cosine needed by
+    the bucket's longest row decides: above 1 the bucket is skipped, else it is cut by length
+    or by the feasible range of the query's largest coordinate, and what is left is verified.
+    Each task keeps k rows per query; a window over those gives the result.
+
+    Scores are exact up to the range of a long; where an inner product might leave it, that is
+    an error.
 
     Ties go to the smaller id. Vectors that are null or hold null or non-finite components,
     and rows with a null id, take no part; rows with the query's own id are not its
@@ -132,7 +146,11 @@ def top_k(vectors: DataFrame, is_query, k: int = 5, id_col: str = "vec_id", vect
     size = rows.agg(F.count(F.when(F.col("asks"), 1)).alias("n"), F.coalesce(F.max(F.size("vec")), F.lit(1)).alias("dim")).first()
     blocks, dim = max(1, -(-size.n // QUERY_BLOCK)), max(1, size.dim)
     norm = F.aggregate("vec", F.lit(0.0), lambda a, x: a + F.pow(F.floor(x.cast("double") * scale).cast("double"), 2))
-    longest = rows.select("id", "vec").orderBy(norm.desc(), "id").limit(SEED_ROWS).toArrow()
+    sized = rows.select("id", "vec", norm.alias("norm"))
+    # equal lengths are told apart by the id's hash, so that many copies of a vector do not fill one range
+    by_length = sized.repartitionByRange(F.col("norm").desc(), F.xxhash64("id")).sortWithinPartitions(F.col("norm").desc())
+    buckets = materialise(by_length.select("id", "vec", "norm"), "buckets")
+    longest = buckets.orderBy(F.col("norm").desc(), "id").limit(SEED_ROWS).select("id", "vec").toArrow()
     seed_ids, seed_rows = _arrays(longest, dim, scale)
     parts = []
     for block in range(blocks):
@@ -141,7 +159,7 @@ def top_k(vectors: DataFrame, is_query, k: int = 5, id_col: str = "vec_id", vect
         first = Search(query_ids, query_rows, k)
         first.scan(seed_ids, seed_rows)
         shared = spark.sparkContext.broadcast((query_ids, query_rows, first.least))
-        parts.append(materialise(_block(rows.select("id", "vec"), shared, k, dim, scale), "top"))
+        parts.append(materialise(_block(buckets.select("id", "vec"), shared, k, dim, scale), "top"))
     out = parts[0]
     for more in parts[1:]:
         out = out.union(more)

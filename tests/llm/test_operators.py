@@ -118,6 +118,24 @@ def test_embeddings_against_brute_force(spark):
         assert [found[q, k + 1] for k in range(5)] == [(int(ids[i]), int(score[i])) for i in order]
 
 
+def test_large_scores_ties_and_repeated_rows(spark):
+    """Scores beyond 2^53 are exact; equal scores go to the smaller id; repeated candidates count each; beyond a long is an error."""
+    draw = np.random.default_rng(14)
+    x = draw.integers(-3 * 10**6, 3 * 10**6, (60, 6)).astype(float)
+    x[10], x[20] = x[30], x[30]
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(30, x[30].tolist())]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
+    found = [(r.query_id, r["rank"], r.vec_id, r.score) for r in topk.top_k(df, F.col("vec_id") % 10 == 0).collect()]
+    ints, ids = [[int(c) * 256 for c in v] for _, v in rows], [i for i, _ in rows]
+    want = []
+    for q in range(0, 60, 10):
+        scores = sorted((-sum(a * b for a, b in zip(ints[q], v, strict=True)), i) for v, i in zip(ints, ids, strict=True) if i != q)[:5]
+        want += [(q, k + 1, i, -s) for k, (s, i) in enumerate(scores)]
+    assert sorted(found) == want and max(s for *_, s in want) > 2**53
+    with pytest.raises(Exception, match="fit a long"):
+        topk.top_k(spark.createDataFrame([(0, [1e9]), (1, [1e9])], "vec_id bigint, embedding array<double>"), F.lit(True)).count()
+
+
 @pytest.mark.parametrize("offset", [0.0, 0.5])
 def test_recall_near_the_threshold(spark, offset):
     """Pairs planted at cosine 0.951 among 6,000 vectors, also where all vectors lean one way; nothing below 0.95 is linked."""
