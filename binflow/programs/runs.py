@@ -117,7 +117,7 @@ def nibble(graph: Graph, seeds: list[int], eps: float = 1e-9, max_rounds: int =
 
 
 def sweep_cut(graph: Graph, walk: DataFrame, min_volume: int = 1) -> DataFrame:
-    """(seed, k, vid, conductance): prefixes of the walk by p / deg, with each prefix's conductance.
+    """(seed, k, vid, conductance): prefixes of the walk by p / deg, with each prefix's conductance; the whole graph has none.
 
     Needs both directions of every edge. Volume is out-degree; an edge leaves the cut when its
     second end joins. The window runs over touched vertices of one seed.
@@ -133,7 +133,7 @@ def sweep_cut(graph: Graph, walk: DataFrame, min_volume: int = 1) -> DataFrame:
     so_far = order.rowsBetween(Window.unboundedPreceding, 0)
     rows = rows.withColumn("volume", F.sum("deg").over(so_far)).withColumn("cut", F.sum(F.col("deg") - 2 * F.coalesce("closing", F.lit(0))).over(so_far))
     smaller = F.least("volume", F.lit(total) - F.col("volume"))
-    return rows.where(F.col("volume") >= min_volume).select("seed", F.col("k").cast("int").alias("k"), "vid", F.when(smaller > 0, F.col("cut") / smaller).alias("conductance"))
+    return rows.where((F.col("volume") >= min_volume) & (smaller > 0)).select("seed", F.col("k").cast("int").alias("k"), "vid", (F.col("cut") / smaller).alias("conductance"))
 
 
 def heat_kernel(graph: Graph, seeds: list[int], t: float = 5.0, terms: int = 10) -> DataFrame:

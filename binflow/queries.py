@@ -303,9 +303,9 @@ def semi_customers(spark, sf_dir):
 
 
 def _frontiers(spark, sf_dir):
-    """Targets of vertex 0 and targets of vertex 1."""
+    """Targets of vertex 0 and targets of vertices 1 to 20."""
     edges = graph(spark, sf_dir, "line_chain").edges
-    return tuple(edges.where(F.col("src") == v).select(F.col("dst").alias("vid")) for v in (0, 1))
+    return tuple(edges.where(F.col("src").between(*v)).select(F.col("dst").alias("vid")) for v in ((0, 0), (1, 20)))
 
 
 def frontier_union(spark, sf_dir):
@@ -514,7 +514,7 @@ def _sweep_sql() -> str:
     ranked as (select walk.vid, deg, row_number() over (order by p / deg desc, walk.vid) as k from walk join deg using (vid) where p > 0),
     closing as (select x.vid, count(*) as c from ranked x join b on src = x.vid join ranked y on y.vid = dst where y.k < x.k group by x.vid),
     sums as (select k, vid, sum(deg) over (order by k) as volume, sum(deg - 2 * coalesce(c, 0)) over (order by k) as cut from ranked left join closing using (vid))
-    select cast(0 as bigint) as seed, cast(k as int) as k, vid, round(case when least(volume, total - volume) > 0 then cut / least(volume, total - volume) end, 9) as conductance from sums, total"""
+    select cast(0 as bigint) as seed, cast(k as int) as k, vid, round(cut / least(volume, total - volume), 9) as conductance from sums, total where volume < total"""
 
 
 BFS = f"""with recursive {LEVELS} par as (select b.vid, min(a.vid) as parent from lev b join e on dst = b.vid join lev a on a.vid = src and a.level = b.level - 1 group by b.vid)
@@ -575,9 +575,9 @@ def oracle_sql() -> dict[str, str]:
         "sweep_cut": _sweep_sql(),
         "anti_customers": "select c_custkey from customer where c_custkey not in (select o_custkey from orders where o_totalprice > 450000)",
         "semi_customers": "select c_custkey from customer where c_custkey in (select o_custkey from orders where o_totalprice > 450000)",
-        "frontier_union": f"with {LINE} z as (select 1) select dst as vid from e where src = 0 union select dst from e where src = 1",
-        "frontier_intersect": f"with {LINE} z as (select 1) select dst as vid from e where src = 0 intersect select dst from e where src = 1",
-        "frontier_except": f"with {LINE} z as (select 1) select dst as vid from e where src = 0 except select dst from e where src = 1",
+        "frontier_union": f"with {LINE} z as (select 1) select dst as vid from e where src = 0 union select dst from e where src between 1 and 20",
+        "frontier_intersect": f"with {LINE} z as (select 1) select dst as vid from e where src = 0 intersect select dst from e where src between 1 and 20",
+        "frontier_except": f"with {LINE} z as (select 1) select dst as vid from e where src = 0 except select dst from e where src between 1 and 20",
         "sampled_seeds": "select p_partkey as vid from part where (p_partkey % 65521 * 40503 + 12289) % 65536 < 6553",
         "degree_histogram": f"with {LINE} d as (select vid, count(src) as deg from v left join e on src = vid group by vid) select deg // 5 * 5 as low, count(*) as n from d group by 1",
         "grouping_sets_events": "select event_type, user_id, count(*) as n, cast(grouping(event_type, user_id) as bigint) as level from events group by grouping sets ((event_type), (user_id), ())",

@@ -13,14 +13,6 @@ QUADRANTS = (0.57, 0.19, 0.19, 0.05)
 PRIME = (1 << 31) - 1
 
 
-def _draw(draw_id, level: int, seed: int):
-    """A number in [0, 1) from a draw and a level: squaring and multiplying modulo a prime, the same in any SQL engine."""
-    x = (draw_id % PRIME * 48271 + (level + 1) * 69621 + seed) % PRIME
-    for k in range(3):
-        x = (x * x + x * (16807 + level) + 12345 + k) % PRIME
-    return x / float(PRIME)
-
-
 def rmat(spark: SparkSession, scale: int, degree: int = 16, seed: int = 42, quadrants: tuple[float, ...] = QUADRANTS) -> DataFrame:
     """2^scale vertices, degree * 2^scale draws of (src, dst); every bit pair comes from a hash of (draw, level, seed).
 
@@ -29,11 +21,14 @@ def rmat(spark: SparkSession, scale: int, degree: int = 16, seed: int = 42, quad
     """
     a, b, c, _ = quadrants
     rows = spark.range(degree << scale)
-    for level in range(scale):
-        rows = rows.withColumn(f"u{level}", _draw(F.col("id"), level, seed))
+    # squaring and multiplying modulo a prime: the same numbers in any SQL engine
+    rows = rows.select(*(((F.col("id") % PRIME * 48271 + (level + 1) * 69621 + seed) % PRIME).alias(f"x{level}") for level in range(scale)))
+    for k in range(3):
+        x = [F.col(f"x{level}") for level in range(scale)]
+        rows = rows.select(*(((x[level] * x[level] + x[level] * (16807 + level) + 12345 + k) % PRIME).alias(f"x{level}") for level in range(scale)))
     src, dst = F.lit(0).cast("bigint"), F.lit(0).cast("bigint")
     for level in range(scale):
-        u = F.col(f"u{level}")
+        u = F.col(f"x{level}") / float(PRIME)
         src = src * 2 + F.when(u >= a + b, 1).otherwise(0)
         dst = dst * 2 + F.when(((u >= a) & (u < a + b)) | (u >= a + b + c), 1).otherwise(0)
     return rows.select(src.alias("src"), dst.alias("dst")).where("src <> dst").distinct().withColumn("weight", F.lit(1).cast("bigint"))
