@@ -171,7 +171,9 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     """Fit the model on at most ``sample`` labelled documents, those with the smallest hashes of the id among the rows not held out.
 
     ``sample`` bounds what reaches the driver: the features of their passages. Labels other
-    than 0 and 1 and null ids are passed over; of repeated labels the smallest counts.
+    than 0 and 1 and null ids are passed over; of repeated labels the smallest counts, and of
+    repeated documents each row. Empty tables, or labels of one kind, give a constant prior.
+    Other columns, whatever their names, are not read.
     """
     ship_package(docs.sparkSession)
     known = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull() & ~held_out(id_col))
@@ -200,7 +202,10 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
 
     Whole texts are scored: a longer one has more passages. Null, empty and blank texts are
     one passage without words, scored like any other. Rows keep their number, repeated and
-    null ids included. Without usable labels of both kinds every score is the prior.
+    null ids included; equal texts have equal scores; an empty table gives no rows; other
+    columns are not read (with ``keep`` they are passed on). Without usable labels of both
+    kinds every score is the prior. A very long text is encoded on its own, with about 40 bytes
+    of memory for each of its bytes.
     """
     ship_package(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)

@@ -26,7 +26,8 @@ def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path
     strings inside a text become their ids, as there. ``decode`` adds the text that the
     ids give back (malformed bytes become U+FFFD). Null and empty texts have no tokens.
     Rows keep their number and order: repeated and tied ids stay, a null id stays null,
-    other columns are not read. Long texts are cut into bounded pieces at safe borders.
+    other columns, whatever their names, are not read; an empty table gives no rows. Long
+    texts are cut into bounded pieces at safe borders.
     """
     path = path or tokenizer_path()
     shared, model_key = share_model(docs.sparkSession, path), path
@@ -68,7 +69,10 @@ def count_tokens(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     Pre-tokens that are proved, when the model is built, to encode alone as one token count
     one without merging; only the rest is merged, once per distinct word. Null and empty
-    texts count zero. Rows keep their number: repeated ids stay, a null id stays null.
+    texts count zero. Rows keep their number and ties their order: repeated ids stay, a null id
+    stays null; an empty table gives no rows; other columns, whatever their names, are not
+    read. Long texts are cut into bounded pieces at safe borders; one row's text and its
+    arrays are in a task's memory at once.
     """
     path = path or tokenizer_path()
     shared, model_key = share_model(docs.sparkSession, path), path
