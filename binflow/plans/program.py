@@ -75,3 +75,8 @@ def nibble(seed: int, eps: float = 1e-9) -> VertexProgram:
     """Walk probability of one seed with dense state (the sparse form is binflow.programs.nibble)."""
     high = lambda x: (F.col("deg") > 0) & (x >= eps * F.col("deg"))
     return VertexProgram("nibble", "double", lambda n: F.when(F.col("vid") == seed, 1.0).otherwise(0.0), lambda n: (F.col("vid") == seed) & (F.col("deg") > 0), message=lambda x: x / (2 * F.col("deg")), combine="sum", reinit=lambda x: x / 2, stays=lambda x: high(x / 2), merge=lambda x, m: x + m, activates=lambda x, y: F.lit(True), keeps=high)
+
+
+def python_function(fn: Callable, value_type: str) -> Cols:
+    """A program's function from a Python one over pandas Series, for what column expressions cannot say: ``replace(p, message=python_function(f, "double"))``."""
+    return F.pandas_udf(fn, value_type)

@@ -395,13 +395,27 @@ def stream_dedup(spark, sf_dir):
     return streams.without_repeats(spark, sf_dir)
 
 
+def stream_join_purchases(spark, sf_dir):
+    return streams.purchases_after_clicks(spark, sf_dir)
+
+
+def stream_vertex_activity(spark, sf_dir):
+    return streams.vertex_activity(spark, sf_dir)
+
+
+def sql_view_degrees(spark, sf_dir):
+    """Out-degrees from SQL over a registered graph view."""
+    views.VIEWS["part_supplier"](spark, sf_dir).createOrReplaceTempView("g_part_supplier")
+    return spark.sql("select src as vid, count(*) as deg, cast(sum(weight) as bigint) as weight from g_part_supplier group by src")
+
+
 def stream_incremental_cc(spark, sf_dir):
     return streams.event_components(spark, sf_dir)
 
 
 def queries() -> dict[str, Query]:
     plain = (bins_summary, out_partition_degree, part_stats_r, mode_choice_all_active, mode_choice_bfs_round2, gather_list_round, bin_list_round, sssp_delta, sssp_topological, cc_geo_tree, cc_turns, pagerank_residual, nibble_line_chain, nibble_multi_seed, sweep_cut, heat_kernel, spmv_ones, validate_bfs, random_read_share, rmat_degree_hist, top_rank_parts, page_links, cube_events, rollup_geo, asof_event, interval_events, lead_gap_events, stream_window_counts)
-    plain += (sssp_local, cc_local_user_order, cc_alternating_stars, model_misses, triangle_count, k_hop2, levels_histogram, component_sizes, dangling_vertices, degree_quantiles, conductance_even, pivot_events, anti_customers, semi_customers, frontier_union, frontier_intersect, frontier_except, sampled_seeds, degree_histogram, grouping_sets_events, above_average_orders, moving_mean_events, embed_sim_edges, doc_bench_shingles, validate_bfs_damaged, round_log_bfs, workload_ordering, workload_mode_mix, workload_degree_sweep, workload_ablation, workload_per_round, workload_shuffle_bytes, workload_build_time, stream_sliding_counts, stream_session_counts, stream_dedup, stream_incremental_cc)
+    plain += (sssp_local, cc_local_user_order, cc_alternating_stars, model_misses, triangle_count, k_hop2, levels_histogram, component_sizes, dangling_vertices, degree_quantiles, conductance_even, pivot_events, anti_customers, semi_customers, frontier_union, frontier_intersect, frontier_except, sampled_seeds, degree_histogram, grouping_sets_events, above_average_orders, moving_mean_events, embed_sim_edges, doc_bench_shingles, validate_bfs_damaged, round_log_bfs, workload_ordering, workload_mode_mix, workload_degree_sweep, workload_ablation, workload_per_round, workload_shuffle_bytes, workload_build_time, stream_sliding_counts, stream_session_counts, stream_dedup, stream_incremental_cc, stream_join_purchases, stream_vertex_activity, sql_view_degrees)
     out: dict[str, Query] = {f.__name__: f for f in plain}
     out |= {f"interpartition_edges_{o}_order": _crossing(o) for o in ("time", "user", "hash")}
     out |= {"bfs_line_chain": _bfs(), "bfs_sc": _bfs(mode="sc"), "bfs_pc": _bfs(mode="pc"), "bfs_push": _bfs(paradigm="push"), "bfs_pull": _bfs(paradigm="pull"), "bfs_blocked": _bfs(paradigm="blocked"), "bfs_edge_centric": _bfs(paradigm="edge"), "bfs_bottom_up": _bfs_vertex("bottom_up"), "bfs_direction_opt": _bfs_vertex("auto")}
@@ -625,6 +639,9 @@ def oracle_sql() -> dict[str, str]:
     out["workload_ordering"] = " union all ".join(f"select * from ({q})" for q in orders.values())
     out |= {f"pagerank10_{name}": _rank_sql(name) for name in RANKED}
     out |= {"bfs_page_links": _bfs_sql(_both(EDGES["page_links"])), "bfs_host_links": _bfs_sql(_both(EDGES["host_links"])), "bfs_part_supplier": _bfs_sql(EDGES["part_supplier"]), "bfs_copurchase": _bfs_sql(EDGES["copurchase"])}
+    out["stream_join_purchases"] = out["interval_events"]
+    out["stream_vertex_activity"] = "select user_id, count(*) as n, max(epoch_us(ts)) as last_us from events group by user_id"
+    out["sql_view_degrees"] = "with h as (select l_partkey as a, l_suppkey + (select count(*) from part) as b, count(*) as w from lineitem group by all), e as (select a, b, w from h union all select b, a, w from h) select a as vid, count(*) as deg, cast(sum(w) as bigint) as weight from e group by a"
     out["stream_incremental_cc"] = out["cc_alternating_stars"]
     out |= dict.fromkeys(("cc_plain", "cc_sc", "cc_push", "cc_pull", "cc_interleaved"), out["cc_geo_tree"])
     out |= dict.fromkeys(("bfs_pull", "bfs_blocked", "bfs_line_chain", "bfs_sc", "bfs_pc", "bfs_push", "bfs_edge_centric", "bfs_bottom_up", "bfs_direction_opt"), BFS)

@@ -169,3 +169,10 @@ def g_doc_bench(spark: SparkSession, sf_dir: str, words: int = 8) -> DataFrame:
 
 
 VIEWS: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__[2:]: f for f in (g_line_chain, g_copurchase, g_order_part, g_part_supplier, g_cust_supplier, g_event_chain, g_user_handoff, g_geo_tree, g_page_links, g_host_links, g_turns, g_doc_dup, g_embed_sim, g_doc_bench)}
+
+
+def register_views(spark: SparkSession, sf_dir: str) -> list[str]:
+    """Every graph view as a temporary SQL view g_<name>(src, dst, weight); returns the names."""
+    for name, view in VIEWS.items():
+        view(spark, sf_dir).createOrReplaceTempView(f"g_{name}")
+    return [f"g_{name}" for name in VIEWS]

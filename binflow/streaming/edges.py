@@ -2,34 +2,22 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from binflow.operators.graphs import alternating_stars
 from binflow.sources import views
-from binflow.storage import materialise, new_folder, table
-
-
-def window_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", width: str = "1 day") -> DataFrame:
-    """(day, event_type, n): a watermarked tumbling window over the events read as a stream, all available files."""
-    schema = table(spark, sf_dir, "events").schema
-    rows = spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
-    utc = F.timestamp_micros(F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01', ts)"))
-    counts = rows.withColumn("ts", utc).withWatermark("ts", late).groupBy(F.window("ts", width), "event_type").agg(F.count(F.lit(1)).alias("n"))
-    out = new_folder(spark, "stream")
-
-    def keep(batch: DataFrame, batch_id: int) -> None:
-        batch.select(F.expr("timestampadd(MICROSECOND, unix_micros(window.start), timestamp_ntz'1970-01-01')").alias("day"), "event_type", "n").write.mode("overwrite").parquet(f"{out}/data")
-
-    done = counts.writeStream.outputMode("complete").option("checkpointLocation", f"{out}/log").trigger(availableNow=True).foreachBatch(keep).start()
-    done.awaitTermination()
-    return spark.read.parquet(f"{out}/data")
+from binflow.storage import materialise, new_folder, ship_package, table
 
 
 def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events as a stream of all available files, with ``ts`` in UTC whatever the session's zone."""
     schema = table(spark, sf_dir, "events").schema
-    rows = spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    rows = spark.readStream.schema(schema).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
     return rows.withColumn("ts", F.timestamp_micros(F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01', ts)")))
 
 
@@ -37,9 +25,13 @@ def _plain(col: str):
     return F.expr(f"timestampadd(MICROSECOND, unix_micros({col}), timestamp_ntz'1970-01-01')")
 
 
-def _drain(spark: SparkSession, rows: DataFrame, mode: str) -> DataFrame:
-    """Run over what is there and read the result; one file set a batch, written over if a batch is run again."""
-    out = new_folder(spark, "stream")
+def _drain(spark: SparkSession, rows: DataFrame, mode: str, at: str | None = None) -> DataFrame:
+    """Run over what is there and read the result; one file set a batch, written over if a batch is run again.
+
+    ``at``: a shared folder that holds the query's progress and result; a later run there goes
+    on with the files that have come since. Without it every run starts anew.
+    """
+    out = at or new_folder(spark, "stream")
     done = rows.writeStream.outputMode(mode).option("checkpointLocation", f"{out}/log").trigger(availableNow=True)
 
     def keep(batch: DataFrame, batch_id: int) -> None:
@@ -49,16 +41,48 @@ def _drain(spark: SparkSession, rows: DataFrame, mode: str) -> DataFrame:
     return spark.read.schema(rows.schema).parquet(f"{out}/data").select(rows.columns)
 
 
-def sliding_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", width: str = "1 day", step: str = "6 hours") -> DataFrame:
+def window_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", width: str = "1 day", at: str | None = None) -> DataFrame:
+    """(day, event_type, n): a watermarked tumbling window over the events read as a stream."""
+    counts = _events(spark, sf_dir).withWatermark("ts", late).groupBy(F.window("ts", width), "event_type").agg(F.count(F.lit(1)).alias("n"))
+    return _drain(spark, counts, "complete", at).select(_plain("window.start").alias("day"), "event_type", "n")
+
+
+def purchases_after_clicks(spark: SparkSession, sf_dir: str, late: str = "1 hour", span: str = "6 hours", at: str | None = None) -> DataFrame:
+    """(click_id, purchase_id): two streams joined within a span of time; state older than the watermarks and the span is dropped."""
+    clicks = _events(spark, sf_dir).where("event_type = 'click'").select(F.col("user_id").alias("u1"), F.col("ts").alias("t1"), F.col("event_id").alias("click_id")).withWatermark("t1", late)
+    bought = _events(spark, sf_dir).where("event_type = 'purchase'").select(F.col("user_id").alias("u2"), F.col("ts").alias("t2"), F.col("event_id").alias("purchase_id")).withWatermark("t2", late)
+    pairs = clicks.join(bought, F.expr(f"u1 = u2 and t2 >= t1 and t2 < t1 + interval {span}"))
+    return _drain(spark, pairs.select("click_id", "purchase_id"), "append", at)
+
+
+def _tally(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+    n, last = state.get if state.exists else (0, 0)
+    for batch in batches:
+        n, last = n + len(batch), max(last, int(batch["us"].max()))
+    state.update((n, last))
+    yield pd.DataFrame({"user_id": [key[0]], "n": [n], "last_us": [last]})
+
+
+def vertex_activity(spark: SparkSession, sf_dir: str, at: str | None = None) -> DataFrame:
+    """(user_id, n, last_us): out-degree in the stream of events and time of the last one, kept as state of each vertex."""
+    ship_package(spark)
+    rows = _events(spark, sf_dir).select("user_id", F.unix_micros("ts").alias("us"))
+    kept = "n bigint, last_us bigint"
+    counted = rows.groupBy("user_id").applyInPandasWithState(_tally, f"user_id bigint, {kept}", kept, "update", GroupStateTimeout.NoTimeout)
+    updates = _drain(spark, counted, "update", at)
+    return updates.groupBy("user_id").agg(F.max("n").alias("n"), F.max("last_us").alias("last_us"))
+
+
+def sliding_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", width: str = "1 day", step: str = "6 hours", at: str | None = None) -> DataFrame:
     """(start, event_type, n) of overlapping windows."""
     counts = _events(spark, sf_dir).withWatermark("ts", late).groupBy(F.window("ts", width, step), "event_type").agg(F.count(F.lit(1)).alias("n"))
-    return _drain(spark, counts, "complete").select(_plain("window.start").alias("start"), "event_type", "n")
+    return _drain(spark, counts, "complete", at).select(_plain("window.start").alias("start"), "event_type", "n")
 
 
-def session_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", gap: str = "2 hours") -> DataFrame:
+def session_counts(spark: SparkSession, sf_dir: str, late: str = "1 hour", gap: str = "2 hours", at: str | None = None) -> DataFrame:
     """(user_id, start, n): runs of a user's events with less than ``gap`` between neighbours."""
     counts = _events(spark, sf_dir).withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.count(F.lit(1)).alias("n"))
-    return _drain(spark, counts, "complete").select("user_id", _plain("s.start").alias("start"), "n")
+    return _drain(spark, counts, "complete", at).select("user_id", _plain("s.start").alias("start"), "n")
 
 
 def without_repeats(spark: SparkSession, sf_dir: str, late: str = "1 hour") -> DataFrame:

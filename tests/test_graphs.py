@@ -1,5 +1,6 @@
 import math
 import random
+from dataclasses import replace
 from itertools import combinations
 
 import pytest
@@ -12,7 +13,7 @@ from binflow.operators import graphs as utilities
 from binflow.operators import relational
 from binflow.plans import engine, layout, misses, modes, program
 from binflow.programs import local, runs
-from binflow.sources import generators, views
+from binflow.sources import datasource, generators, views
 from binflow.streaming import edges as streams
 
 TOY = [(0, 1), (0, 2), (0, 3), (0, 6), (1, 2), (2, 4), (2, 5), (3, 0), (4, 6), (4, 7), (5, 1), (6, 7)]
@@ -286,3 +287,44 @@ def test_damaged_tree_fails_the_checks(spark, wild):
     assert {r.failures for r in runs.validate_bfs(g, 0, tree).collect()} == {0}
     bad = tree.where("vid <> 5").withColumn("level", F.when(F.col("vid") == 0, 0).otherwise(F.col("level") + (F.col("vid") % 3 == 0).cast("int")))
     assert sum(r.failures for r in runs.validate_bfs(g, 0, bad).collect()) > 0
+
+
+def test_data_source_draws_what_the_generator_draws(spark):
+    datasource.register(spark)
+    made = spark.read.format("binflow_rmat").option("scale", 6).option("degree", 4).load()
+    assert made.count() == 256
+    assert rows(made.where("src <> dst").distinct()) == rows(generators.rmat(spark, 6, 4).select("src", "dst"))
+
+
+def test_python_message(spark, wild):
+    """A program whose message is a Python function gives what the column expression gives."""
+    edges, g = wild
+    ranks = program.pagerank()
+    one = replace(program.spmv(), message=program.python_function(lambda x: x * 2, "double"))
+    got = {r.vid: r.x for r in engine.run(g, one, max_rounds=1).state.collect()}
+    want = {v: 0.0 for v in range(50)}
+    for _, b, w in edges:
+        want[b] += 2.0 * w
+    assert got == pytest.approx(want) and ranks.combine == "sum"
+
+
+def test_a_stream_goes_on_where_it_stopped(spark, tmp_path):
+    """The second run of a query in the same folder reads new files only and keeps the state."""
+    (tmp_path / "in").mkdir()
+    for k in range(2):
+        batch = spark.range(k * 10, k * 10 + 10).selectExpr("id as event_id", "timestamp_ntz'2024-01-01 00:00:00' as ts", "id % 3 as user_id", "'view' as event_type", "1.0D as value", "'' as props")
+        batch.toPandas().to_parquet(tmp_path / "in" / ("events.parquet" if k == 0 else "events_1.parquet"), coerce_timestamps="us")
+        got = rows(streams.vertex_activity(spark, f"file://{tmp_path}/in", at=f"file://{tmp_path}/at").select("user_id", "n"))
+        assert sum(n for _, n in got) == 10 * (k + 1)
+
+
+def test_small_relational_operators(spark):
+    texts = spark.createDataFrame([(1, "a b c d"), (2, "B C  d e"), (3, None), (4, "")], "id bigint, text string")
+    other = spark.createDataFrame([(9, "x b c d")], "id bigint, text string")
+    assert rows(relational.shingle_join(texts, "id", other, "id", "text", 3)) == [(1, 9, 1), (2, 9, 1)]
+    vectors = spark.createDataFrame([(1, [1.0, 0.0], 0), (2, [2.0, 0.1], 0), (3, [0.0, 1.0], 0), (4, [1.0, 0.0], 1), (5, [0.0, 0.0], 0)], "id bigint, v array<double>, block int")
+    assert [(a, b) for a, b, _ in rows(relational.similarity_join(vectors, "id", "v", "block", 0.9))] == [(1, 2)]
+    ids = spark.range(1000)
+    assert 50 < relational.hash_sample(ids, "id", 0.1).count() < 150 and relational.except_ids(ids, ids).count() == 0
+    names = views.register_views(spark, "/root/testdata/sf0.001")
+    assert "g_doc_bench" in names and spark.sql("select count(*) as n from g_embed_sim").first().n >= 0
