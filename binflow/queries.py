@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import re
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -473,7 +474,7 @@ def _bfs_sql(edges: str) -> str:
 
 def _both(edges: str) -> str:
     """The same edges in both directions."""
-    return edges.replace(" e as (", " f as (") + " e as (select src, dst from f union select dst, src from f),"
+    return re.sub(r"\be as \(", "f as (", edges) + " e as (select src, dst from f union select dst, src from f),"
 
 
 def _checks_sql(damage: bool) -> str:
