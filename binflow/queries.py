@@ -21,7 +21,7 @@ from binflow.storage import table
 from binflow.streaming import edges as streams
 
 #: partitions of the registered graphs; threshold and rounds of the walks
-K, EPS, STEPS, TERMS = 16, 1e-9, 20, 10
+K, SMALL_K, EPS, STEPS, TERMS = 16, 8, 1e-9, 20, 10
 _GRAPHS: dict[tuple, Graph] = {}
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -361,19 +361,19 @@ def workload_ordering(spark, sf_dir):
 
 
 def workload_mode_mix(spark, sf_dir):
-    return workloads.mode_mix(spark, sf_dir)
+    return workloads.mode_mix(spark, sf_dir, k=SMALL_K)
 
 
 def workload_degree_sweep(spark, sf_dir):
-    return workloads.degree_sweep(spark)
+    return workloads.degree_sweep(spark, k=SMALL_K)
 
 
 def workload_ablation(spark, sf_dir):
-    return workloads.ablation(spark, sf_dir)
+    return workloads.ablation(spark, sf_dir, ("bfs", "sssp", "cc"), k=SMALL_K)
 
 
 def workload_per_round(spark, sf_dir):
-    return workloads.per_round(spark, sf_dir)
+    return workloads.per_round(spark, sf_dir, k=SMALL_K)
 
 
 def workload_shuffle_bytes(spark, sf_dir):

@@ -95,11 +95,11 @@ def ordering(spark: SparkSession, sf_dir: str, orders: Sequence[str] = ("user",
     return out
 
 
-def ablation(spark: SparkSession, sf_dir: str, apps: Sequence[str] = APPS, graphs: Sequence[str] = ("line_chain",), variants: Sequence[str] = tuple(VARIANTS), rounds: int = 10) -> DataFrame:
+def ablation(spark: SparkSession, sf_dir: str, apps: Sequence[str] = APPS, graphs: Sequence[str] = ("line_chain",), variants: Sequence[str] = tuple(VARIANTS), rounds: int = 10, k: int | None = None) -> DataFrame:
     """(app, graph, variant, seconds, normalised, rounds, model_bytes); normalised by the app's full variant."""
     rows = []
     for name in graphs:
-        g = load(spark, sf_dir, name)
+        g = load(spark, sf_dir, name, k)
         for app in apps:
             best, mine = ("interleaved" if app in MONOTONE else "dual"), []
             for variant in variants:
@@ -113,11 +113,11 @@ def ablation(spark: SparkSession, sf_dir: str, apps: Sequence[str] = APPS, graph
     return spark.createDataFrame(rows, "app string, graph string, variant string, seconds double, normalised double, rounds int, model_bytes double")
 
 
-def per_round(spark: SparkSession, sf_dir: str, apps: Sequence[str] = ("bfs", "cc", "sssp"), graphs: Sequence[str] = ("line_chain",), modes: Sequence[str] = ("sc", "pc", "auto"), rounds: int = 10) -> DataFrame:
+def per_round(spark: SparkSession, sf_dir: str, apps: Sequence[str] = ("bfs", "cc", "sssp"), graphs: Sequence[str] = ("line_chain",), modes: Sequence[str] = ("sc", "pc", "auto"), rounds: int = 10, k: int | None = None) -> DataFrame:
     """(app, graph, mode, round, frontier, sc_parts, pc_parts, model_bytes, ms)."""
     rows = []
     for name in graphs:
-        g = load(spark, sf_dir, name)
+        g = load(spark, sf_dir, name, k)
         for app in apps:
             for mode in modes:
                 out, _ = one(g, app, mode=mode, rounds=rounds)
@@ -126,16 +126,16 @@ def per_round(spark: SparkSession, sf_dir: str, apps: Sequence[str] = ("bfs", "c
     return spark.createDataFrame(rows, "app string, graph string, mode string, round int, frontier bigint, sc_parts int, pc_parts int, model_bytes double, ms double")
 
 
-def mode_mix(spark: SparkSession, sf_dir: str, apps: Sequence[str] = ("pagerank", "bfs", "nibble"), graphs: Sequence[str] = ("line_chain",), rounds: int = 10) -> DataFrame:
+def mode_mix(spark: SparkSession, sf_dir: str, apps: Sequence[str] = ("pagerank", "bfs", "nibble"), graphs: Sequence[str] = ("line_chain",), rounds: int = 10, k: int | None = None) -> DataFrame:
     """(app, graph, round, sc_parts, pc_parts) of the automatic choice."""
-    return per_round(spark, sf_dir, apps, graphs, ("auto",), rounds).select("app", "graph", "round", "sc_parts", "pc_parts")
+    return per_round(spark, sf_dir, apps, graphs, ("auto",), rounds, k).select("app", "graph", "round", "sc_parts", "pc_parts")
 
 
-def degree_sweep(spark: SparkSession, scale: int = 10, degrees: Sequence[int] = (1, 2, 4, 8, 16, 32, 64, 128), apps: Sequence[str] = ("pagerank", "bfs"), rounds: int = 10) -> DataFrame:
+def degree_sweep(spark: SparkSession, scale: int = 10, degrees: Sequence[int] = (1, 2, 4, 8, 16, 32, 64, 128), apps: Sequence[str] = ("pagerank", "bfs"), rounds: int = 10, k: int | None = None) -> DataFrame:
     """(degree, app, edges, r, seconds, growth, rounds, pc_share) over generated graphs of one size; growth: seconds over those of the first degree."""
     rows, base = [], {}
     for degree in degrees:
-        g = layout.build(generators.rmat(spark, scale, degree), 1 << scale)
+        g = layout.build(generators.rmat(spark, scale, degree), 1 << scale, k)
         total = g.part_stats.agg(F.sum("n_e"), F.sum("n_msg")).first()
         for app in apps:
             out, seconds = one(g, app, rounds=rounds)
