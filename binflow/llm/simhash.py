@@ -136,12 +136,14 @@ def links(distinct: DataFrame) -> DataFrame:
     """All pairs (fp, near) with fp < near of distinct fingerprints at DISTANCE bits or fewer.
 
     A fingerprint has at most 2,080 others within two bits, so links grow with the number of
-    different fingerprints, however many documents share one.
+    different fingerprints, however many documents share one. The sides are shuffled at every
+    size: Spark takes the replicas, some 60 rows a fingerprint, to be as few as the
+    fingerprints and would broadcast them.
     """
     home = distinct.select("fp").mapInArrow(_at_home, "anchor int, fp bigint")
     near = distinct.select("fp").mapInArrow(_replicate, "anchor int, near bigint")
     close = (F.col("fp") < F.col("near")) & (F.bit_count(F.col("fp").bitwiseXOR(F.col("near"))) <= DISTANCE)
-    return home.join(near, "anchor").where(close).select("fp", "near")
+    return home.join(near.hint("merge"), "anchor").where(close).select("fp", "near")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

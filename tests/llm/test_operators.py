@@ -90,6 +90,19 @@ def test_anchors_meet():
         assert set(zip(range(len(a)), home.tolist(), strict=True)) <= set(zip(row.tolist(), anchor.tolist(), strict=True))
 
 
+def test_replicas_are_never_broadcast(spark):
+    prints = common.materialise(spark.range(50).select(F.xxhash64("id").alias("fp")), "prints")
+    for limit in ("10MB", "1GB"):
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", limit)
+        try:
+            joined = simhash.links(prints)
+            joined.collect()
+            plan = joined._jdf.queryExecution().executedPlan().toString()
+        finally:
+            spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        assert "Broadcast" not in plan and "SortMergeJoin" in plan
+
+
 def test_components_contract_over_the_cluster(spark):
     edges = spark.range(60).select(F.col("id").alias("a"), (F.col("id") + F.when(F.col("id") % 20 == 19, 0).otherwise(1)).alias("b"))
     got = {r.node: r.component for r in common.components(edges, one_task=0).collect()}
