@@ -238,6 +238,21 @@ def test_later_documents_share_more_than_the_first_holds(spark, tasks):
     assert sorted((r.doc_id, r.start_word, r.end_word, r.source_id) for r in found) == [(3 * i + 2, 60, 115, 3 * i + 1) for i in range(40)]
 
 
+@pytest.mark.parametrize("tasks", [1, 8])
+def test_near_repeats_that_the_first_holder_lacks(spark, tasks):
+    """Document 4 i holds the middle of a passage only, as does the next one; the last two hold all of it, one word apart."""
+    draw = random.Random(12)
+    words = lambda n: ["".join(draw.choices("abcdefgh", k=6)) for _ in range(n)]
+    texts = []
+    for _ in range(40):
+        shared = words(60)
+        near = shared[:30] + words(1) + shared[31:]
+        texts += [words(60) + shared[8:30] + words(60) + shared[31:53] + words(60), words(60) + shared[10:28] + words(60) + shared[33:50] + words(60), words(60) + shared + words(60), words(60) + near + words(60)]
+    df = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id bigint, text string").repartition(tasks)
+    found = substring.repeated_passages(df).collect()
+    assert sorted((r.doc_id, r.start_word, r.end_word, r.source_id) for r in found) == [(4 * i + 3, 60, 120, 4 * i + 2) for i in range(40)]
+
+
 MIT = """MIT License
 
 Copyright (c) 2021 Some Body
