@@ -1,6 +1,7 @@
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -398,3 +399,69 @@ def test_scores_do_not_depend_on_the_batch():
     together = model.score(*quality.encode_passages(texts))
     assert [float(model.score(*quality.encode_passages([t]))[0]) for t in texts] == together.tolist()
     assert np.concatenate([model.score(*quality.encode_passages(texts[i : i + 7])) for i in range(0, 150, 7)]).tolist() == together.tolist()
+
+
+def _met_windows(contexts, fresh):
+    """What windows of one key find among each other: documents in order of the windows; words as numbers."""
+    words = [np.array(x, "<u4") for x in contexts]
+    rows = {"key": [7] * len(words), "doc": list(range(len(words))), "low": [0] * len(words), "words": [x.tobytes() for x in words], "fresh": [np.packbits(np.array(f, np.uint8)).tobytes() for f in fresh]}
+    return [r for b in substring._meet(50, 0.8)(iter([pa.RecordBatch.from_pydict(rows)])) for r in zip(*(c.to_pylist() for c in b.columns), strict=True)]
+
+
+def test_windows_that_meet_cover_what_all_pairs_cover():
+    """Pieces of common passages, words changed, with what is known already left out: no word that some pair of windows covers is missed."""
+    draw = random.Random(15)
+    covered = 0
+    for _ in range(60):
+        passages = [[draw.randrange(1 << 32) for _ in range(draw.randint(20, 90))] for _ in range(4)]
+        contexts = []
+        for _ in range(25):
+            line = [w for _ in range(3) for p in [draw.choice(passages)] for w in [*p[draw.choice([0, 0, 10]) :], *(draw.randrange(1 << 32) for _ in range(draw.choice([0, 1, 12])))]]
+            for _ in range(draw.choice([0, 1, 2])):
+                line[draw.randrange(len(line))] = draw.randrange(1 << 32)
+            contexts.append([*line, *(draw.randrange(1 << 32) for _ in range(60))][:180])
+        fresh = [[1] * 180 for _ in contexts]
+        for f in fresh:
+            if draw.random() < 0.5:
+                a = draw.randrange(120)
+                f[a : a + 60] = [0] * 60
+                b = draw.randrange(120)
+                f[b : b + 50] = [0] * 50
+        want, got = ([f.copy() for f in fresh] for _ in range(2))
+        for j in range(len(contexts)):
+            for i in range(j):
+                for a, b in substring.matching_spans(np.array(contexts[j], np.uint32), np.array(contexts[i], np.uint32)):
+                    want[j][a:b] = [0] * (b - a)
+        for j, a, b, i in _met_windows(contexts, fresh):
+            assert i < j and (a, b) in substring.matching_spans(np.array(contexts[j], np.uint32), np.array(contexts[i], np.uint32))
+            got[j][a:b] = [0] * (b - a)
+        assert got == want
+        covered += sum(map(sum, fresh)) - sum(map(sum, want))
+    assert covered > 10_000
+
+
+def test_windows_around_a_common_line_are_not_compared_in_pairs(monkeypatch):
+    """300 windows hold a line of 45 words, too short for a repeat; two of them hold a longer passage around it."""
+    draw = random.Random(16)
+    number = lambda n: [draw.randrange(1 << 32) for _ in range(n)]
+    line, longer = number(45), number(20)
+    contexts = [number(60) + line + (longer if k in (100, 200) else number(20)) + number(40) for k in range(300)]
+    calls, compare = [], substring.matching_spans
+    monkeypatch.setattr(substring, "matching_spans", lambda *x: calls.append(1) or compare(*x))
+    assert _met_windows(contexts, [[1] * 165] * 300) == [(200, 60, 125, 100)]
+    assert len(calls) < 300
+
+
+def test_windows_in_numpy_are_those_of_plain_code():
+    """Runs of a few and of many different values; the reach of numpy is longer than the runs."""
+    draw = np.random.default_rng(17)
+    for _ in range(200):
+        values = substring._mixed(draw.integers(0, draw.choice([3, 10, 1 << 62]), draw.integers(1, 60)).astype(np.uint64), 1)
+        cuts = np.unique(np.r_[0, draw.integers(0, len(values) + 1, 3), len(values)])
+        begin, end = cuts[:-1], cuts[1:]
+        want = sorted((l + a, c + a, r + a) for a, e in zip(begin.tolist(), end.tolist(), strict=True) for l, c, r in substring.tied_windows(values[a:e], 46 // 4))
+        monkey, substring.REACH = substring.REACH, 6
+        try:
+            assert sorted(map(tuple, substring.centred(values, begin, end, 46 // 4).tolist())) == want
+        finally:
+            substring.REACH = monkey
