@@ -465,3 +465,28 @@ def test_windows_in_numpy_are_those_of_plain_code():
             assert sorted(map(tuple, substring.centred(values, begin, end, 46 // 4).tolist())) == want
         finally:
             substring.REACH = monkey
+
+
+def test_windows_of_a_damaged_first_copy_are_not_compared_in_pairs(monkeypatch):
+    """200 near copies of a passage, each with words of its own in another place and a stretch of such words: what no earlier one can cover is not looked for in each of them."""
+    draw = random.Random(18)
+    number = lambda n: [draw.randrange(1 << 32) for _ in range(n)]
+    passage, contexts = number(180), []
+    for _ in range(200):
+        line = passage.copy()
+        a = draw.randrange(100)
+        line[a : a + 40] = number(40)
+        line[draw.randrange(180)] = number(1)[0]
+        contexts.append(line)
+    calls, compare = [], substring.matching_spans
+    monkeypatch.setattr(substring, "matching_spans", lambda *x: calls.append(1) or compare(*x))
+    got = np.ones((200, 180), bool)
+    for j, a, b, _ in _met_windows(contexts, [[1] * 180] * 200):
+        got[j, a:b] = False
+    assert len(calls) < 2000  # of 19,900 pairs
+    want = np.ones((200, 180), bool)
+    for j in range(200):
+        for i in range(j):
+            for a, b in compare(np.array(contexts[j], np.uint32), np.array(contexts[i], np.uint32)):
+                want[j, a:b] = False
+    assert np.array_equal(got, want)
