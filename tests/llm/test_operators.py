@@ -490,3 +490,41 @@ def test_windows_of_a_damaged_first_copy_are_not_compared_in_pairs(monkeypatch):
             for a, b in compare(np.array(contexts[j], np.uint32), np.array(contexts[i], np.uint32)):
                 want[j, a:b] = False
     assert np.array_equal(got, want)
+
+
+def test_loops_are_one_candidate_an_alignment_and_are_verified_where_words_are_left(spark, monkeypatch):
+    """Texts that repeat two words 300 times: every second word is a minimum of all functions."""
+    draw = random.Random(19)
+    words = lambda n: ["".join(draw.choices("abcdefgh", k=6)) for _ in range(n)]
+    texts = [" ".join([*words(70), *["is", "onhe."] * n, *words(70)]) for n in (300, 300, 200, 350)]
+    batch = pa.RecordBatch.from_pydict({"k": list(range(4)), "text": texts})
+    sent = [r for b in substring._windows(4, 46)(iter([batch])) for r in b.to_pylist() if r["other"] is not None]
+    # of the alignments of one text with the first, each is there once, with its widest interval
+    assert len({(r["doc"], r["c"], r["other"]) for r in sent}) == len(sent) < 3000
+    calls, compare = [], substring.matching_spans
+    monkeypatch.setattr(substring, "matching_spans", lambda *x: calls.append(1) or compare(*x))
+    hashes = [substring._short(substring.word_hashes(t)) for t in texts]
+    tries = [(low, max(0, low - shift), min(len(hashes[0]), low - shift + 250)) for shift in range(-300, 302, 2) for low in [max(70, 70 + shift)]]
+    asked = [{"other": 0, "low": [x[0] for x in tries], "begin": [x[1] for x in tries], "end": [x[2] for x in tries], "words": hashes[0].tobytes()}]
+    found = substring.merged(substring.find_spans(hashes[1], asked, 50, 0.8))
+    assert len(calls) < len(tries) / 4
+    want = [(low + a, low + b, 0) for low, begin, end in tries for a, b in compare(hashes[1][low : low + end - begin + 50], hashes[0][begin:end], 50, 0.8)]
+    assert found == substring.merged(want)
+    assert {r.doc_id: (r.start_word, r.end_word) for r in substring.repeated_passages(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")).collect()} == {1: (70, 670), 2: (70, 470), 3: (70, 770)}
+
+
+def test_candidates_of_one_text_are_those_of_each_alone():
+    """Sides that overlap are sent once, and candidates that can add nothing are passed over; the spans are those of all candidates."""
+    draw = random.Random(20)
+    number = lambda n: [draw.randrange(1 << 32) for _ in range(n)]
+    for _ in range(40):
+        parts = [*(number(draw.randint(20, 90)) for _ in range(3)), number(draw.randint(1, 8)) * draw.randint(10, 60)]
+        texts = [np.array([w for _ in range(4) for p in [draw.choice(parts)] for w in [*p[draw.choice([0, 0, 7]) :], *number(draw.choice([0, 1, 12, 60]))]], np.uint32) for _ in range(5)]
+        asked, want = [], []
+        for _ in range(60):
+            i, low = draw.randrange(1, 5), draw.randrange(len(texts[0]))
+            begin = draw.randrange(len(texts[i]))
+            end = min(len(texts[i]), begin + draw.randint(60, 260))
+            asked.append({"other": i, "low": [low], "begin": [begin], "end": [end], "words": texts[i].tobytes()})
+            want += [(low + a, low + b, i) for a, b in substring.matching_spans(texts[0][low : low + end - begin + 50], texts[i][begin:end])]
+        assert substring.merged(substring.find_spans(texts[0], asked, 50, 0.8)) == substring.merged(want)
