@@ -1,4 +1,5 @@
 import random
+import time
 
 import numpy as np
 import pyarrow as pa
@@ -6,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from binflow.llm import bpe, common, licenses, neardup, packing, quality, sharding, simhash, substring, tokens, topk
+from binflow.storage import hadoop_path
 
 DOCS = "doc_id bigint, text string, id int, row string"
 
@@ -528,3 +530,33 @@ def test_candidates_of_one_text_are_those_of_each_alone():
             asked.append({"other": i, "low": [low], "begin": [begin], "end": [end], "words": texts[i].tobytes()})
             want += [(low + a, low + b, i) for a, b in substring.matching_spans(texts[0][low : low + end - begin + 50], texts[i][begin:end])]
         assert substring.merged(substring.find_spans(texts[0], asked, 50, 0.8)) == substring.merged(want)
+
+
+def test_no_step_keeps_the_shuffle_files_of_the_one_before(spark, monkeypatch):
+    """What windows, texts and words were shuffled for is written; their files are gone before the next step, and the tables between are gone at the end."""
+    draw = random.Random(21)
+    words = lambda n: " ".join("".join(draw.choices("abcdefgh", k=6)) for _ in range(n))
+    shared = [words(120), words(120)]
+    docs = spark.createDataFrame([(i, f"{words(80)} {shared[i % 2]} {words(70)}") for i in range(12)], "doc_id bigint, text string")
+    setting = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(setting, None)
+    disk = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    files = lambda: {x for x in disk.getAllFiles().mkString("|").split("|") if "shuffle_" in x}
+    left, kept, write, there = {}, [], substring.materialise, files()
+
+    def written(df, name, **how):
+        out = write(df, name, **how)
+        end = time.monotonic() + 10
+        while files() - there and time.monotonic() < end:  # the files are deleted beside the driver's work
+            time.sleep(0.1)
+        left[name] = len(files() - there)
+        kept.append(out)
+        return out
+
+    monkeypatch.setattr(substring, "materialise", written)
+    found = substring.repeated_passages(docs).collect()
+    assert sorted((r.doc_id, r.start_word, r.end_word, r.source_id) for r in found) == [(i, 80, 200, i % 2) for i in range(2, 12)]
+    assert left == {"pairs": 0, "found": 0, "spans": 0}
+    paths = [hadoop_path(spark, x._binflow_path) for x in kept]
+    assert [fs.exists(p) for fs, p in paths] == [False, False, True]
+    assert spark.conf.get(setting, None) == before
