@@ -560,3 +560,14 @@ def test_no_step_keeps_the_shuffle_files_of_the_one_before(spark, monkeypatch):
     paths = [hadoop_path(spark, x._binflow_path) for x in kept]
     assert [fs.exists(p) for fs, p in paths] == [False, False, True]
     assert spark.conf.get(setting, None) == before
+
+
+def test_candidates_are_read_as_arrow_reads_them():
+    lists = pa.list_(pa.int64())
+    kind = pa.list_(pa.struct([("low", lists), ("begin", lists), ("end", lists), ("other", pa.int64()), ("words", pa.binary())]))
+    rows = [[{"low": [i], "begin": [i, 2], "end": [], "other": i, "words": None if i % 2 else b"x"}] * (i % 3) for i in range(7)]
+    column = pa.array(rows, kind)
+    for part in (column, column.slice(2, 3), column.slice(0, 0)):
+        assert substring._asked(part) == part.to_pylist()
+    data, bounds = substring._bytes(pa.array([b"ab", b"", b"cde", b"f"]).slice(1, 2))
+    assert data.tobytes() == b"cde" and bounds.tolist() == [0, 0, 3]
