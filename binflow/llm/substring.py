@@ -50,6 +50,10 @@ REACH = 2
 HASHED = 2_000_000
 #: words of the windows that are met at once, one key's at least
 MET = 1_500_000
+#: shingles of windows that are sorted at once
+SORTED = 2_000_000
+#: places in a table of one key's windows and shingles
+TABLE = 16_000_000
 #: alignments of two documents up to which it is not asked what words each of them can cover
 FEW = 4
 _ODD, _BACK = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 1 << 64)
@@ -496,25 +500,69 @@ def _may_gain(at: np.ndarray, several: np.ndarray, fresh: np.ndarray, width: int
     rows, n = at.shape
     if n < width:
         return np.zeros(rows, bool)
-    has = at >= 0
-    hits = np.zeros((rows, n + 1))
-    np.cumsum(has, axis=1, out=hits[:, 1:])
-    theirs = np.where(several[:, None], hits[:, :-1], at)
-    after = np.where(several[:, None], hits[:, 1:], at + 1)
-    score = (1 + similarity) * hits
-    place = np.arange(n)
-    starts = np.where(has, score[:, :-1] - similarity * (place + theirs), np.inf)
-    ends = np.where(has, score[:, 1:] - similarity * (place + 1 + after), -np.inf)[:, width - 1 :] + 1e-6
-    least = np.minimum.accumulate(starts, axis=1)
+    has, share = at >= 0, np.float32(similarity)
+    hits = np.zeros((rows, n + 1), np.float32)
+    np.cumsum(has, axis=1, dtype=np.float32, out=hits[:, 1:])
+    hits = hits[:, :-1]
+    theirs = np.where(several[:, None], hits, at) if several.any() else at
+    score = (1 + share) * hits - share * (np.arange(n, dtype=np.float32) + theirs)
+    least = np.minimum.accumulate(np.where(has, score, np.float32(np.inf)), axis=1)
+    ends = np.where(has, score + (1 - share) + np.float32(1e-3), np.float32(-np.inf))
     out = np.zeros(rows, bool)
     runs = _runs(fresh)
     for a, b in runs if len(runs) <= 6 else [(runs[0][0], runs[-1][1])]:
-        q = np.arange(max(width, a - SHINGLE + 2), n + 1)
-        if len(q):
-            out |= (ends[:, q - width] >= least[:, np.minimum(b - 1, q - width)]).any(axis=1)
+        q = max(width, a - SHINGLE + 2)
+        mid = min(max(q, b - 1 + width), n + 1)  # for ends below it the length bounds the first place, from there on the last fresh word does
+        if mid > q:
+            out |= (ends[:, q - 1 : mid - 1] >= least[:, q - width : mid - width]).any(axis=1)
+        if mid <= n:
+            out |= ends[:, mid - 1 :].max(axis=1) >= least[:, b - 1]
     return out
 
 
+def _numbers(doc: np.ndarray, begins: np.ndarray, words: np.ndarray, bounds: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Shingles of windows by key: the number of each (-1 if the windows of one document hold it only), the windows that hold each number, in order, their places in them, and where each number's begin.
+
+    They are sorted in parts of their hashes; beside the words, 12 bytes a shingle, 8 for one that several documents hold, and one part are in memory.
+    """
+    values = np.empty(int(place[-1]), np.uint64)
+    for i in range(0, len(doc), 4096):
+        upper = min(i + 4096, len(doc))
+        own = words[bounds[i] : bounds[upper]]
+        window = np.repeat(np.arange(i, upper), np.diff(bounds[i : upper + 1]))
+        all_ = shingle_hashes(own.astype(np.uint64))
+        start = np.flatnonzero(window[: len(all_)] == window[SHINGLE - 1 :])
+        values[place[i] : place[upper]] = _mixed(all_[start] ^ _mixed(begins.astype(np.uint64)[window[start]], 11), 12)
+    number = np.full(len(values), -1, np.int32)
+    parts = 1 + len(values) // SORTED
+    held, places, firsts, ids, at = [], [], [], 0, 0
+    for part in range(parts):
+        chosen = np.flatnonzero(values % np.uint64(parts) == part) if parts > 1 else np.arange(len(values))
+        order = chosen[np.argsort(values[chosen], kind="stable")]
+        v = values[order]
+        w = (np.searchsorted(place, order, "right") - 1).astype(np.int32)
+        opens = np.flatnonzero(np.r_[True, v[1:] != v[:-1]]) if len(v) else np.empty(0, np.int64)
+        ends = np.r_[opens[1:], len(v)][: len(opens)]
+        several = doc[w[opens]] != doc[w[ends - 1]]
+        count = (ends - opens)[several]
+        kept = np.repeat(several, ends - opens)
+        number[order[kept]] = np.repeat(np.arange(ids, ids + len(count), dtype=np.int32), count)
+        held.append(w[kept])
+        places.append((order[kept] - place[w[kept]]).astype(np.int32))
+        firsts.append(at + np.r_[0, np.cumsum(count)][:-1])
+        ids, at = ids + len(count), at + int(count.sum())
+    return number, np.concatenate(held), np.concatenate(places), np.concatenate(firsts).astype(np.int64)
+
+
+def _unfit(mask: np.ndarray, n: int, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """Stretches [from, to) of ``n`` shingles in which no two are both ends of a repeat with a word of ``mask``: those too short for a repeat, and those that hold no such word."""
+    x = np.arange(max(1, n - width + 2))
+    at = np.r_[-1, np.flatnonzero(mask), n + SHINGLE - 1]
+    a, b = at[:-1] + 1, at[1:] - SHINGLE + 1
+    long = b > a
+    return np.r_[x, a[long]], np.r_[np.minimum(x + width - 1, n), b[long]]
+
+
 def _met(key: np.ndarray, doc: np.ndarray, low: np.ndarray, fresh: np.ndarray, words: np.ndarray, bounds: np.ndarray, min_words: int, similarity: float) -> Iterator[tuple[int, int, int, int]]:
     """(doc, from, to, earlier doc) of repeats that hold fresh words, among windows sorted by (key, doc).
 
@@ -524,91 +572,154 @@ def _met(key: np.ndarray, doc: np.ndarray, low: np.ndarray, fresh: np.ndarray, w
     of the key holds, then, for some earlier windows at a time, from those that each one
     holds; those with a possible range are compared, until all words are covered that can be.
     """
-    shingles, width = shingle_hashes(words.astype(np.uint64)), min_words - SHINGLE + 1
-    window = np.repeat(np.arange(len(doc)), np.diff(bounds))
-    start = np.flatnonzero(window[: len(shingles)] == window[SHINGLE - 1 :])
-    window = window[start]
+    width = min_words - SHINGLE + 1
+    size = np.maximum(np.diff(bounds) - SHINGLE + 1, 0)
+    place = np.r_[0, np.cumsum(size)]
     opens = np.r_[True, key[1:] != key[:-1]]
     begins = np.flatnonzero(opens)[np.cumsum(opens) - 1]
-    values = _mixed(shingles[start] ^ _mixed(begins.astype(np.uint64), 11)[window], 12)
-    order = np.argsort(values, kind="stable")
-    v, w = values[order], window[order]
-    opens = np.r_[True, v[1:] != v[:-1]]
-    first = np.flatnonzero(opens)
-    ids = np.cumsum(opens) - 1
-    upto = np.r_[first[1:], len(v)]
-    shared = np.empty(len(v), bool)
-    shared[order] = doc[w[first]][ids] < doc[w]
-    number = np.empty(len(v), np.int64)
-    number[order] = ids
-    size = np.bincount(window, minlength=len(doc))
-    place = np.r_[0, np.cumsum(size)]
+    number, w, inside, first = _numbers(doc, begins, words, bounds, place)
+    upto = np.r_[first[1:], len(w)]
     opens = np.r_[True, (key[1:] != key[:-1]) | (doc[1:] != doc[:-1])]
     earlier = np.flatnonzero(opens)[np.cumsum(opens) - 1]
-    slot = np.zeros(len(first), np.int32)
+    kind = np.int16 if len(size) and size.max() < 1 << 15 else np.int32
+    inside = inside.astype(kind)
+    slot = np.zeros(len(first) + 1, np.int32)  # the last one is that of shingles that no other document holds
 
     def spread(a: np.ndarray, b: np.ndarray) -> np.ndarray:
         """All numbers of the ranges [a, b)."""
         ends = np.cumsum(b - a)
         return np.arange(ends[-1] if len(ends) else 0) + np.repeat(a - (ends - (b - a)), b - a)
 
+    def holders(ids: np.ndarray, j: int, after: int) -> np.ndarray:
+        """Windows of other documents before ``j`` and behind ``after`` that hold one of the shingles."""
+        out = np.unique(w[spread(first[ids], upto[ids])])
+        return out[np.searchsorted(out, after, "right") : np.searchsorted(out, earlier[j])]
+
+    def partners(j: int, ids: np.ndarray, shared: np.ndarray, mask: np.ndarray, after: int) -> np.ndarray:
+        """Windows behind ``after`` that may hold a repeat of ``j`` with a word of ``mask``: they share enough of it, and a shingle outside of any stretch in which no such repeat fits."""
+        mine = np.unique(ids[shared])
+        most = upto[mine] - first[mine]
+        # whoever shares ``need`` of them shares one of all but the ``need`` - 1 most frequent
+        need = max(1, int(np.ceil(similarity * width - 1e-9)) - (int(shared.sum()) - len(mine)))
+        rare = mine[np.argsort(most, kind="stable")][: max(0, len(mine) - need + 1)]
+        sums = np.zeros(len(ids) + 1, np.int64)
+        np.cumsum(np.where(shared, (upto - first)[np.where(shared, ids, 0)], 0), out=sums[1:])
+        x, y = _unfit(mask, len(ids), width)
+        k = int(np.argmax(sums[y] - sums[x]))
+        outside = shared.copy()
+        outside[x[k] : y[k]] = False
+        ends = np.unique(ids[outside])
+        least = sorted((int((upto[m] - first[m]).sum()), i, m) for i, m in enumerate((rare, ends)))
+        if least[0][0] >= earlier[j] - max(begins[j], after + 1):
+            return np.arange(max(begins[j], after + 1), earlier[j])
+        out = holders(least[0][2], j, after)
+        if len(out) > 64 and least[1][0] < earlier[j] - begins[j]:
+            out = np.intersect1d(out, holders(least[1][2], j, after), assume_unique=True)
+        return out
+
+    told = np.searchsorted(np.sort(w[first]), np.arange(len(doc) + 1))  # shingles of the windows before each one
+    table, column, twice, owner = np.empty((0, 0), kind), np.full(len(first), -1, np.int32), {}, -1
+
+    def looked_up(j: int, mine: np.ndarray, where: np.ndarray, tried: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where windows of the key hold the shingles of ``j``, and whether they hold one of them twice, by a table (window, shingle) that stays for the next ones of the key."""
+        nonlocal table, owner
+        begin = int(begins[j])
+        new = mine[column[mine] < 0]
+        if owner != begin or len(twice[None]) + len(new) >= table.shape[1]:
+            if owner >= 0:
+                column[twice[None]] = -1
+            owner, new = begin, mine
+            twice.clear()
+            twice[None] = []
+            n = int(np.searchsorted(begins, begin, "right")) - begin
+            table = np.full((n, min(TABLE // n, int(told[begin + n] - told[begin])) + 1), -1, kind)
+        if len(new):
+            column[new] = np.arange(len(twice[None]), len(twice[None]) + len(new)) + 1  # the first one stays empty
+            twice[None] += new.tolist()
+            at = spread(first[new], upto[new])
+            ids_ = np.repeat(new, upto[new] - first[new])
+            table[w[at] - begin, column[ids_]] = inside[at]
+            again = np.flatnonzero((w[at[1:]] == w[at[:-1]]) & (ids_[1:] == ids_[:-1]))
+            cuts = np.flatnonzero(ids_[again][1:] != ids_[again][:-1]) + 1
+            twice.update((int(ids_[x[0]]), np.unique(w[at[x]]) - begin) for x in np.split(again, cuts) if len(x))
+        several = np.zeros(len(table), bool)
+        if len(twice) > 1:
+            for x in mine.tolist():
+                if x in twice:
+                    several[twice[x]] = True
+        return table[tried[:, None] - begin, np.r_[0, column[mine]][where]], several[tried - begin]
+
     # a repeat begins and ends with shared shingles, so its fresh words lie between the outermost ones
-    known, sums, at = np.bincount(window[shared], minlength=len(doc)), np.r_[0, np.cumsum(fresh, dtype=np.int64)], np.flatnonzero(shared)
-    some = np.flatnonzero(known >= max(1, similarity * width - 1e-9))
-    last = np.cumsum(known)[some]
-    some = some[sums[start[at[last - 1]] + SHINGLE] > sums[start[at[last - known[some]]]]]
-    for j in some.tolist():
+    leading = np.r_[doc[w[first]], np.iinfo(np.int64).max] if len(first) else np.array([np.iinfo(np.int64).max])
+    sums = np.zeros(len(fresh) + 1, np.int32)
+    np.cumsum(fresh, out=sums[1:])
+    some = []
+    for i in range(0, len(doc), 4096):
+        upper = min(i + 4096, len(doc))
+        window = np.repeat(np.arange(i, upper), size[i:upper])
+        at = np.flatnonzero(leading[number[place[i] : place[upper]]] < doc[window])
+        known = np.bincount(window[at] - i, minlength=upper - i)
+        last = np.cumsum(known)
+        good = np.flatnonzero(known >= max(1, similarity * width - 1e-9))
+        a, b = (at[x] + place[i] - place[good + i] + bounds[good + i] for x in (last[good] - known[good], last[good] - 1))
+        some.append(good[sums[b + SHINGLE] > sums[a]] + i)
+    for j in np.concatenate(some).tolist() if some else []:
         a, b, own = int(place[j]), int(place[j + 1]), words[bounds[j] : bounds[j + 1]]
-        mask = fresh[bounds[j] : bounds[j + 1]].astype(bool) & coverable(shared[a:b], width, similarity)
+        ids = number[a:b]
+        shared = leading[ids] < doc[j]
+        mask = fresh[bounds[j] : bounds[j + 1]].astype(bool) & coverable(shared, width, similarity)
         if not mask.any():
             continue
-        mine, mine_at = np.unique(number[a:b][shared[a:b]], return_inverse=True)
-        # whoever shares ``need`` of them shares one of all but the ``need`` - 1 most frequent
-        need = max(1, int(np.ceil(similarity * width - 1e-9)) - (b - a - len(np.unique(number[a:b]))))
-        sizes = np.sort(upto[mine] - first[mine])[: max(0, len(mine) - need + 1)]
-        if sizes.sum() < earlier[j] - begins[j]:
-            rare = mine[np.argsort(upto[mine] - first[mine], kind="stable")][: len(sizes)]
-            others = np.unique(w[spread(first[rare], upto[rare])])
-            others = others[others < earlier[j]]
-        else:
-            others = np.arange(begins[j], earlier[j])
+        mine, mine_at = np.unique(ids[shared], return_inverse=True)
+        others = partners(j, ids, shared, mask, -1)
         slot[mine] = np.arange(1, len(mine) + 1)
         where = np.zeros(b - a, np.int64)
-        where[shared[a:b]] = mine_at + 1
-        known_to, done, step = set(), 0, 16
+        where[shared] = mine_at + 1
+        known_to, done, step, uncovered = set(), 0, 16, int(mask.sum())
         while done < len(others) and mask.any():
+            if mask.sum() < uncovered:
+                uncovered = int(mask.sum())
+                others, done = partners(j, ids, shared, mask, int(others[done - 1])), 0
             tried = others[done : done + step]
-            done, step = done + step, min(2 * step, 512)
-            row = np.repeat(np.arange(len(tried)), size[tried])
-            theirs = spread(place[tried], place[tried + 1])
-            mark = slot[number[theirs]]
-            hit = mark > 0
-            row, mark, inside = row[hit], mark[hit], (theirs - place[tried][np.repeat(np.arange(len(tried)), size[tried])])[hit]
-            at = np.full((len(tried), len(mine) + 1), -1, np.int64)
-            at[row, mark] = inside
-            several = np.bincount(row, minlength=len(tried)) > (at >= 0).sum(axis=1)
-            at = at[:, where]
-            left = np.flatnonzero(_may_gain(at, several, mask, width, similarity))
-            while len(left):
-                gain = (at[left] >= 0) @ np.convolve(mask, np.ones(SHINGLE), "valid")
-                best = int(np.argmax(gain))
-                k = int(left[best])
-                left = np.delete(left, best)
-                i = int(tried[k])
-                marks = np.where(slot[number[place[i] : place[i + 1]]] > 0, number[place[i] : place[i + 1]], -1)
-                ends = np.flatnonzero(marks >= 0)
-                # windows that hold the same of this one's shingles at the same distances are compared once
-                alike = (int(ends[0]) if len(mine) < len(mine_at) or several[k] else 0, marks[ends[0] : ends[-1] + 1].tobytes())
-                if alike in known_to:
-                    continue
-                known_to.add(alike)
-                gained = False
-                for s, e in matching_spans(own, words[bounds[i] : bounds[i + 1]], min_words, similarity):
-                    if mask[s:e].any():
-                        mask[s:e], gained = False, True
-                        yield int(doc[j]), int(low[j]) + s, int(low[j]) + e, int(doc[i])
-                if gained:
-                    left = left[_may_gain(at[left], several[left], mask, width, similarity)] if mask.any() else left[:0]
+            done, step = done + step, min(2 * step, 4096)
+            # many are looked up at once, where the key has room for a table
+            far = len(tried) > 64 and TABLE // int(np.searchsorted(begins, begins[j], "right") - begins[j]) > len(mine)
+            for part in np.split(tried, range(1024, len(tried), 1024)):
+                if far:
+                    at, several = looked_up(j, mine, where, part)
+                else:
+                    row = np.repeat(np.arange(len(part)), size[part])
+                    theirs = spread(place[part], place[part + 1])
+                    mark = slot[number[theirs]]
+                    hit = np.flatnonzero(mark)
+                    at = np.full((len(part), len(mine) + 1), -1, kind)
+                    at[row[hit], mark[hit]] = theirs[hit] - place[part][row[hit]]
+                    several = np.bincount(row[hit], minlength=len(part)) > (at >= 0).sum(axis=1)
+                    at = at[:, where]
+                left = np.flatnonzero(_may_gain(at, several, mask, width, similarity))
+                while len(left):
+                    gain = (at[left] >= 0) @ np.convolve(mask, np.ones(SHINGLE), "valid")
+                    left, gained = left[np.argsort(-gain, kind="stable")], False
+                    for k in left.tolist():
+                        left = left[1:]
+                        i = int(part[k])
+                        marks = np.where(slot[number[place[i] : place[i + 1]]] > 0, number[place[i] : place[i + 1]], -1)
+                        ends = np.flatnonzero(marks >= 0)
+                        # windows that hold the same of this one's shingles at the same distances are compared once
+                        alike = (int(ends[0]) if len(mine) < len(mine_at) or several[k] else 0, marks[ends[0] : ends[-1] + 1].tobytes())
+                        if alike in known_to:
+                            continue
+                        known_to.add(alike)
+                        for s, e in matching_spans(own, words[bounds[i] : bounds[i + 1]], min_words, similarity):
+                            if mask[s:e].any():
+                                mask[s:e], gained = False, True
+                                yield int(doc[j]), int(low[j]) + s, int(low[j]) + e, int(doc[i])
+                        if gained:
+                            break
+                    if gained:
+                        left = np.sort(left[_may_gain(at[left], several[left], mask, width, similarity)]) if mask.any() else left[:0]
+                if not mask.any():
+                    break
         slot[mine] = 0
 
 

@@ -454,6 +454,21 @@ def test_windows_around_a_common_line_are_not_compared_in_pairs(monkeypatch):
     assert len(calls) < 300
 
 
+def test_windows_around_a_common_line_meet_those_that_share_more_than_the_line(monkeypatch):
+    """400 windows hold a line of 45 words; the 9 words behind it stand elsewhere in the window before, so that only all earlier windows together could cover them. Two windows hold a longer passage."""
+    draw = random.Random(22)
+    number = lambda n: [draw.randrange(1 << 32) for _ in range(n)]
+    line, longer, bits = number(45), number(20), [number(9) for _ in range(401)]
+    contexts = [number(40) + line + (longer if k in (100, 300) else bits[k] + number(11)) + number(20) + bits[k + 1] + number(15) for k in range(400)]
+    looked_at, test = [], substring._may_gain
+    monkeypatch.setattr(substring, "_may_gain", lambda at, *x: looked_at.append(len(at)) or test(at, *x))
+    assert _met_windows(contexts, [[1] * 160] * 400) == [(300, 40, 105, 100)]
+    assert sum(looked_at) < 2000  # of 79,800 pairs
+    monkeypatch.setattr(substring, "SORTED", 3000)
+    monkeypatch.setattr(substring, "TABLE", 10)
+    assert _met_windows(contexts, [[1] * 160] * 400) == [(300, 40, 105, 100)]
+
+
 def test_windows_in_numpy_are_those_of_plain_code():
     """Runs of a few and of many different values; the reach of numpy is longer than the runs."""
     draw = np.random.default_rng(17)
